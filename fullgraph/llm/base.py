@@ -62,13 +62,23 @@ def drop_dir(spark: SparkSession, path: str) -> None:
     p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
 
-def stored(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
-    """Write rows to the shared folder and read them back: a lineage cut that survives lost executors."""
-    path = work_dir(spark, name)
-    df.write.parquet(path)
+def write_table(spark: SparkSession, df: DataFrame, path: str) -> DataFrame:
+    """Write rows below ``path`` and read them back; the write's shuffle files go when it ends."""
+    key = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(key, before) if before is not None else spark.conf.unset(key)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def stored(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
+    """A lineage cut that survives lost executors: rows go to the shared folder and are read back."""
+    return write_table(spark, df, work_dir(spark, name))
+
+
 def ship(spark: SparkSession) -> None:
     """Send this subpackage's source to the executors, once per application."""
     sc = spark.sparkContext

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import exact_dedup, langid, line_dedup, packing, quality_rules
+from . import exact_dedup, jaccard_join, langid, line_dedup, packing, quality_rules
 from .base import documents
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -19,6 +19,7 @@ def queries() -> dict[str, Query]:
         "op3_exact_dedup": lambda s, d: exact_dedup.digest(s, documents(s, d)),
         "op7_packing": lambda s, d: packing.digest(s, documents(s, d)),
         "op8_language_id": lambda s, d: langid.identify(s, documents(s, d)),
+        "op9_jaccard_join": lambda s, d: jaccard_join.similar(s, documents(s, d)),
     }
 
 
@@ -27,4 +28,5 @@ def oracle_sql() -> dict[str, str]:
         "op1_line_dedup": line_dedup.ORACLE_SQL,
         "op2_quality_rules": quality_rules.ORACLE_SQL,
         "op3_exact_dedup": exact_dedup.ORACLE_SQL,
+        "op9_jaccard_join": jaccard_join.ORACLE_SQL,
     }
