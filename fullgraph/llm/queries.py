@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import exact_dedup, jaccard_join, langid, line_dedup, packing, quality_rules
+from . import exact_dedup, jaccard_join, langid, line_dedup, mixing, packing, quality_rules, toxicity
 from .base import documents
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -17,9 +17,11 @@ def queries() -> dict[str, Query]:
         "op1_line_dedup": lambda s, d: line_dedup.digest(documents(s, d)),
         "op2_quality_rules": lambda s, d: quality_rules.digest(documents(s, d)),
         "op3_exact_dedup": lambda s, d: exact_dedup.digest(s, documents(s, d)),
+        "op4_mixing": lambda s, d: mixing.calibrated(s, documents(s, d)),
         "op7_packing": lambda s, d: packing.digest(s, documents(s, d)),
         "op8_language_id": lambda s, d: langid.identify(s, documents(s, d)),
         "op9_jaccard_join": lambda s, d: jaccard_join.similar(s, documents(s, d)),
+        "op10_toxicity": lambda s, d: toxicity.classify(s, documents(s, d), s.read.parquet(f"{d}/labels.parquet")),
     }
 
 
