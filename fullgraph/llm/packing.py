@@ -6,11 +6,10 @@ length, fills a sequence of its own without padding, and no sequence holds two
 documents.  Pieces of equal length share a bucket, from which batches of one
 shape are drawn.
 
-Ids come from a public tokenizer file whose path is a parameter.  A text's ids
-are those of its white-space chunks one after another (the file's
-pre-tokenizer never joins across white space), so a bounded table from chunk to
-ids replaces most tokenizer calls; texts with characters that could break that
-equality take the plain call.
+Ids come from a public tokenizer file whose path is a parameter.  The file's
+pre-tokenizer cuts a text into runs of letters, digits and marks; for texts of
+Latin characters the same cut is made here, and a bounded table from run to ids
+stands before the file's merge model.  Any other text takes the plain call.
 
 Defined results: null or empty text is the end id alone (one piece of length
 1); repeated rows are packed row by row; a null ``doc_id`` is carried; extra
@@ -32,12 +31,18 @@ from .base import ship, slices
 
 MAX_LENGTH = 2048
 END_ID = 1
-CHUNKS_KEPT = 400_000
+RUNS_KEPT = 600_000
 
-#: What may not be cut at white space: special-token marks, and separators that Python and the tokenizer see differently.
-_ODD = re.compile("<\\||[\x1c-\x1f\x85​-‏ - ⁠-⁯﻿]")
+# The file's letters, digits and white space below U+0250, and its cut.
+_LETTER = "a-z\u00aa\u00b5\u00ba\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f"
+_DIGIT = "0-9\u00b2\u00b3\u00b9\u00bc-\u00be"
+_SPACE = " \t-\r\u0085\u00a0"
+_CUT = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTER}]+|[{_DIGIT}]|[^{_SPACE}{_LETTER}{_DIGIT}]+")
 
-_tables: dict[str, "ChunkTable"] = {}
+#: Outside the Latin range, or a special token's mark, or a capital whose lower case leaves the range.
+_OTHER = re.compile("[\u0250-\U0010ffff\u0130]|<\\|")
+
+_tables: dict[str, "RunTable"] = {}
 
 
 def default_tokenizer() -> str:
@@ -46,8 +51,15 @@ def default_tokenizer() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
-class ChunkTable(dict):
-    """Chunk to its ids as little-endian 32-bit bytes; emptied when it outgrows its bound."""
+def byte_letters() -> dict[int, str]:
+    """The printable stand-in of each byte: printable Latin-1 stands for itself, the rest follow from U+0100."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in plain]
+    return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(rest)}
+
+
+class RunTable(dict):
+    """Run to its ids as little-endian 32-bit bytes; emptied when it outgrows its bound."""
 
     def __init__(self, path: str):
         import os
@@ -57,29 +69,21 @@ class ChunkTable(dict):
 
         super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
+        self.model = self.tokenizer.model
+        self.letters = byte_letters()
 
-    def ids(self, text: str) -> bytes:
-        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
+    def __missing__(self, run: str) -> bytes:
+        seen = run if run.isascii() else run.encode().decode("latin-1")
+        ids = b"".join([t.id.to_bytes(4, "little") for t in self.model.tokenize(seen.translate(self.letters))])
+        self[run] = ids
+        return ids
 
-    def fill(self, chunks: list[str]) -> None:
-        if len(self) > CHUNKS_KEPT:
+    def ids(self, text: str) -> bytes:
+        if _OTHER.search(text):
+            return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
+        if len(self) > RUNS_KEPT:
             self.clear()
-        for chunk, e in zip(chunks, self.tokenizer.encode_batch_fast(chunks, add_special_tokens=False)):
-            self[chunk] = np.array(e.ids, dtype="<u4").tobytes()
-
-    def texts(self, texts: list[str]) -> list[bytes]:
-        cut = [None if _ODD.search(t) else (t.lower() if t.isascii() else t).split() for t in texts]
-        new: set[str] = set()
-        for c in cut:
-            if c:
-                new.update(c)
-        missing = [c for c in new if c not in self]
-        if missing:
-            self.fill(missing)
-            if len(missing) < len(new):  # the table may have been emptied
-                self.fill([c for c in new if c not in self])
-        get = self.__getitem__
-        return [self.ids(t) if c is None else b"".join(map(get, c)) for t, c in zip(texts, cut)]
+        return b"".join(map(self.__getitem__, _CUT.findall(text.lower())))
 
 
 def pieces(n: int, largest: int = MAX_LENGTH) -> list[tuple[int, int]]:
@@ -102,12 +106,14 @@ SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long,
 
 def _pack(path: str, largest: int, with_ids: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = _tables.get(path) or _tables.setdefault(path, ChunkTable(path))
+        if path not in _tables:
+            _tables[path] = RunTable(path)
+        table = _tables[path]
         end = np.array([END_ID], dtype="<u4").tobytes()
         for batch in slices(batches, "text", 1 << 20):
             docs = batch.column(0).to_pylist()
             rows: list[list] = [[], [], [], [], [], []]
-            for doc, ids in zip(docs, table.texts([t or "" for t in batch.column(1).to_pylist()])):
+            for doc, ids in zip(docs, (table.ids(t or "") for t in batch.column(1).to_pylist())):
                 ids += end
                 n = len(ids) // 4
                 for start, length in pieces(n, largest):
