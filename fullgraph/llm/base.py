@@ -76,7 +76,16 @@ def write_table(spark: SparkSession, df: DataFrame, path: str) -> DataFrame:
 
 def stored(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
     """A lineage cut that survives lost executors: rows go to the shared folder and are read back."""
-    return write_table(spark, df, work_dir(spark, name))
+    path = work_dir(spark, name)
+    out = write_table(spark, df, path)
+    out._work_path = path
+    return out
+
+
+def discard(spark: SparkSession, *tables: DataFrame) -> None:
+    """Remove tables made by :func:`stored` that nothing reads any more."""
+    for t in tables:
+        drop_dir(spark, t._work_path)
 
 
 def ship(spark: SparkSession) -> None:
