@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import exact_dedup, jaccard_join, langid, line_dedup, mixing, packing, quality_rules, suffix_dedup, toxicity
+from . import chaining, exact_dedup, jaccard_join, langid, line_dedup, mixing, packing, quality_rules, suffix_dedup, toxicity
 from .base import documents
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -19,6 +19,7 @@ def queries() -> dict[str, Query]:
         "op3_exact_dedup": lambda s, d: exact_dedup.digest(s, documents(s, d)),
         "op4_mixing": lambda s, d: mixing.calibrated(s, documents(s, d)),
         "op5_suffix_dedup": lambda s, d: suffix_dedup.digest(s, documents(s, d)),
+        "op6_chaining": lambda s, d: chaining.passages(s, documents(s, d)),
         "op7_packing": lambda s, d: packing.digest(s, documents(s, d)),
         "op8_language_id": lambda s, d: langid.identify(s, documents(s, d)),
         "op9_jaccard_join": lambda s, d: jaccard_join.similar(s, documents(s, d)),
