@@ -86,6 +86,7 @@ def run_stream(spark: SparkSession, fingerprint_stream: DataFrame, folder: str)
     conf.set("spark.sql.streaming.stateStore.rocksdb.changelogCheckpointing.enabled", "true")
     conf.set("spark.sql.streaming.stateStore.rocksdb.boundedMemoryUsage", "true")
     conf.set("spark.sql.streaming.stateStore.rocksdb.maxMemoryUsageMB", "256")
+    conf.set("spark.sql.streaming.stateStore.rocksdb.allowFAllocate", "false")
     conf.set("spark.sql.streaming.noDataMicroBatches.enabled", "false")
     query = (
         keyed_state(fingerprint_stream)
