@@ -17,11 +17,15 @@ EPS = 1e-5
 
 def layer_norm(v: Column, eps: float = EPS) -> Column:
     """Row-wise normalization to mean 0 and variance 1 (expressions, no shuffle)."""
-    n = F.size(v).cast("double")
     total = lambda a: F.aggregate(a, F.lit(0.0), lambda s, x: s + x)
-    mean = total(F.transform(v, lambda x: x.cast("double"))) / n
-    var = total(F.transform(v, lambda x: (x - mean) * (x - mean))) / n
-    return F.transform(v, lambda x: (x - mean) / F.sqrt(var + F.lit(eps)))
+    bind = lambda value, f: F.get(F.transform(F.array(value), f), F.lit(0))  # noqa: E731  evaluates ``value`` once per row
+    n = F.size(v).cast("double")
+
+    def centred(c: Column) -> Column:
+        spread = F.sqrt(total(F.transform(c, lambda x: x * x)) / n + F.lit(eps))
+        return bind(spread, lambda s: F.transform(c, lambda x: x / s))
+
+    return bind(total(F.transform(v, lambda x: x.cast("double"))) / n, lambda m: bind(F.transform(v, lambda x: x - m), centred))
 
 
 def norm_rows(x: np.ndarray, gain: np.ndarray, bias: np.ndarray) -> tuple[np.ndarray, tuple]:

@@ -83,15 +83,6 @@ def part_supplier(spark: SparkSession, sf_dir: str, quantity: float = 40, discou
     return Graph(as_nodes(_part_nodes(spark, sf_dir).unionByName(supp)), as_edges(pairs.unionByName(back)))
 
 
-def hashed_bigrams(text: Column, buckets: int) -> Column:
-    """Unit-length counts of a text's hashed character pairs (built-in functions only)."""
-    low = F.lower(text)
-    pairs = F.transform(F.sequence(F.lit(1), F.greatest(F.length(low) - 1, F.lit(1))), lambda i: F.pmod(F.crc32(F.encode(F.substr(low, i, F.lit(2)), "UTF-8")), F.lit(buckets)).cast("int"))
-    counts = F.transform(F.sequence(F.lit(0), F.lit(buckets - 1)), lambda b: F.size(F.filter(pairs, lambda p: p == b)).cast("double"))
-    norm = F.sqrt(F.aggregate(counts, F.lit(0.0), lambda s, x: s + x * x))
-    return F.transform(counts, lambda x: x / F.greatest(norm, F.lit(1.0)))
-
-
 def _bigram_nodes(docs: DataFrame, buckets: int, noise: float, seed: int) -> DataFrame:
     from ..functions.vectors import mix_uniform
 
@@ -99,8 +90,9 @@ def _bigram_nodes(docs: DataFrame, buckets: int, noise: float, seed: int) -> Dat
     counts = pairs.select("id", F.pmod(F.crc32(F.encode("g", "UTF-8")), F.lit(buckets)).cast("int").alias("k")).groupBy("id", "k").agg(F.count(F.lit(1)).alias("c"))
     row = counts.groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("k", "c"))).alias("m"), F.sqrt(F.sum(F.col("c") * F.col("c")).cast("double")).alias("norm"))
     # the sum of twelve uniforms less six is close to a normal number
-    normal = lambda k: sum((mix_uniform(F.col("id"), F.lit(12) * k + j, seed) for j in range(12)), F.lit(-6.0))
-    feat = F.array(*[F.coalesce(F.col("m")[F.lit(k)], F.lit(0)) / F.col("norm") + (F.lit(noise) * normal(F.lit(k)) if noise else F.lit(0.0)) for k in range(buckets)])
+    normal = lambda k: F.aggregate(F.sequence(F.lit(0), F.lit(11)), F.lit(-6.0), lambda s, j: s + mix_uniform(F.col("id"), k * 12 + j, seed))
+    cell = lambda k: F.coalesce(F.col("m")[k], F.lit(0)) / F.col("norm") + (F.lit(noise) * normal(k) if noise else F.lit(0.0))
+    feat = F.transform(F.sequence(F.lit(0), F.lit(buckets - 1)), cell)
     return row.select("id", feat.alias("feat"))
 
 
