@@ -86,7 +86,9 @@ def part_supplier(spark: SparkSession, sf_dir: str, quantity: float = 40, discou
 def _bigram_nodes(docs: DataFrame, buckets: int, noise: float, seed: int) -> DataFrame:
     from ..functions.vectors import mix_uniform
 
-    pairs = docs.select("id", F.explode(F.transform(F.sequence(F.lit(1), F.greatest(F.length("text") - 1, F.lit(1))), lambda i: F.substr(F.lower("text"), i, F.lit(2)))).alias("g"))
+    # characters are split once per text; substrings by place would scan the text again for every pair
+    chars = docs.select("id", F.split(F.lower("text"), "").alias("c"))
+    pairs = chars.filter(F.size("c") > 1).select("id", F.explode(F.transform(F.sequence(F.lit(0), F.size("c") - 2), lambda i: F.concat(F.get("c", i), F.get("c", i + 1)))).alias("g"))
     counts = pairs.select("id", F.pmod(F.crc32(F.encode("g", "UTF-8")), F.lit(buckets)).cast("int").alias("k")).groupBy("id", "k").agg(F.count(F.lit(1)).alias("c"))
     row = counts.groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("k", "c"))).alias("m"), F.sqrt(F.sum(F.col("c") * F.col("c")).cast("double")).alias("norm"))
     # the sum of twelve uniforms less six is close to a normal number
