@@ -51,6 +51,15 @@ def with_locator(docs: DataFrame) -> DataFrame:
         return docs.select("*", F.lpad(F.monotonically_increasing_id().cast("string"), 20, "0").alias("_locator"))
 
 
+def filed(spark: SparkSession, docs: DataFrame) -> DataFrame:
+    """The same rows from files: locators must name the same row in every pass."""
+    try:
+        docs.select("_metadata.row_index")
+        return docs
+    except AnalysisException:
+        return stored(spark, docs, "documents")
+
+
 def fingerprints(docs: DataFrame, key=sha_key) -> DataFrame:
     """digest, doc_id, chars, locator (and sha256 where ``key`` is another digest); batch or streaming."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
@@ -140,6 +149,7 @@ def unequal_digests(docs: DataFrame, key=sha_key) -> DataFrame:
 
 def exact_groups(spark: SparkSession, docs: DataFrame, key=sha_key, max_files_per_batch: int | None = None) -> DataFrame:
     """Every row of ``docs``: doc_id, keep_id, group_size, kept, text_sha256, locator, keep_locator."""
+    docs = filed(spark, docs)
     slim, state = drain(spark, docs, key, max_files_per_batch)
     sha = F.lower(F.hex(F.col("digest" if key is sha_key else "sha256")))
     unequal = stored(spark, unequal_digests(docs, key), "unequal-digests")
@@ -167,6 +177,7 @@ def exact_groups(spark: SparkSession, docs: DataFrame, key=sha_key, max_files_pe
 
 def deduplicate(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` that stay, all columns."""
+    docs = filed(spark, docs)
     kept = exact_groups(spark, docs).filter("kept").select("locator")
     return with_locator(docs).join(kept, F.col("_locator") == F.col("locator"), "left_semi").drop("_locator")
 
