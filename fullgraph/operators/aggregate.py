@@ -106,3 +106,33 @@ def neighbour(local_edges: DataFrame, routed: DataFrame, feats: DataFrame, reduc
     if reduce == "mean":
         return out.select("dst", "blk", F.transform(packed(), lambda x: x / F.col("n")).alias("v"))
     return out.select("dst", "blk", packed())
+
+
+def absorb_cogrouped(received: DataFrame, post: DataFrame) -> DataFrame:
+    """Raw messages along post edges with one cogrouped Arrow pass per receiving part: (dst, blk, v).
+
+    A control for :func:`absorb`: the part's messages are held as one matrix.
+    """
+    import numpy as np
+    import pyarrow as pa
+
+    from ..session import ship
+
+    ship(received.sparkSession)
+
+    def run(key, msgs: pa.Table, edges: pa.Table) -> pa.Table:
+        names = list(zip(msgs["sp"].to_pylist(), msgs["key"].to_pylist(), msgs["blk"].to_pylist()))
+        rows: dict[tuple[int, int], list[int]] = {}
+        for i, (sp, src, _) in enumerate(names):
+            rows.setdefault((sp, src), []).append(i)
+        v = np.array(msgs["v"].to_pylist(), dtype=np.float64).reshape(len(names), -1)
+        out: dict[tuple[int, int], np.ndarray] = {}
+        for sp, src, dst in zip(edges["sp"].to_pylist(), edges["src"].to_pylist(), edges["dst"].to_pylist()):
+            for i in rows.get((sp, src), ()):
+                at = (dst, names[i][2])
+                out[at] = out[at] + v[i] if at in out else v[i]
+        return pa.table({"dst": pa.array([k[0] for k in out], pa.int64()), "blk": pa.array([k[1] for k in out], pa.int32()), "v": pa.array([x.tolist() for x in out.values()], pa.list_(pa.float64()))})
+
+    m = received.filter("kind = 'raw'").select("sp", "dp", "key", "blk", "v")
+    e = post.select("sp", "dp", "src", "dst")
+    return m.groupBy("dp").cogroup(e.groupBy("dp")).applyInArrow(run, "dst long, blk int, v array<double>")

@@ -7,11 +7,11 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.vectors import register
-from ..operators import cover, relational, remote
+from ..operators import aggregate, cover, relational, remote
 from ..session import work_path
 from ..sources import graphs, tables
 from ..sources.tables import load
-from .graph_queries import G2_SQL, G6_SQL, P, Q, g2_remote, g6_remote, query
+from .graph_queries import FEAT_SQL, G2_SQL, G6_SQL, P, Q, as_sums, g2_features, g2_remote, g6_remote, query
 
 # ---------------------------------------------------------------- joins
 
@@ -216,3 +216,23 @@ def format_bucketed(s: SparkSession, d: str) -> DataFrame:
     name = f"edges_{uuid.uuid4().hex[:12]}"
     tables.write_bucketed(g2_remote(s, d), name, 4, "dp", ["dp", "src"])
     return s.table(name).groupBy("sp", "dp").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("udf_cogroup_absorb", f"WITH {G2_SQL}, {FEAT_SQL} SELECT r.dst, k, sum(x)::BIGINT AS s FROM r JOIN fx ON fx.id = r.src GROUP BY r.dst, k")
+def udf_cogroup_absorb(s: SparkSession, d: str) -> DataFrame:
+    post = remote.plan(g2_remote(s, d), "post")
+    got = aggregate.absorb_cogrouped(aggregate.raw(post, g2_features(s, d)), post)
+    return as_sums(got.select("dst", "blk", F.transform("v", lambda x: x.cast("long")).alias("v")))
+
+
+@query("sql_spmm", f"WITH {G2_SQL}, {FEAT_SQL} SELECT e.dst, k, sum(x)::BIGINT AS s FROM e JOIN fx ON fx.id = e.src GROUP BY e.dst, k")
+def sql_spmm(s: SparkSession, d: str) -> DataFrame:
+    f = g2_features(s, d).select("id", "blk", F.posexplode("v").alias("i", "x"))
+    text = "SELECT e.dst, CAST(16 * f.blk + f.i AS INT) AS k, sum(f.x) AS s FROM {e} e JOIN {f} f ON e.src = f.id WHERE 16 * f.blk + f.i < 3 GROUP BY e.dst, 16 * f.blk + f.i"
+    return s.sql(text, e=graphs.part_supplier(s, d).edges, f=f)
+
+
+@query("sql_views", "SELECT n_name, count(*)::BIGINT AS n FROM supplier JOIN nation ON s_nationkey = n_nationkey GROUP BY 1")
+def sql_views(s: SparkSession, d: str) -> DataFrame:
+    tables.register_views(s, d, ["supplier", "nation"])
+    return s.sql("SELECT n_name, count(*) AS n FROM supplier JOIN nation ON s_nationkey = n_nationkey GROUP BY n_name")
