@@ -127,12 +127,12 @@ def absorb_cogrouped(received: DataFrame, post: DataFrame) -> DataFrame:
             rows.setdefault((sp, src), []).append(i)
         v = np.array(msgs["v"].to_pylist(), dtype=np.float64).reshape(len(names), -1)
         out: dict[tuple[int, int], np.ndarray] = {}
-        for sp, src, dst in zip(edges["sp"].to_pylist(), edges["src"].to_pylist(), edges["dst"].to_pylist()):
+        for sp, src, dst in zip(edges["e_sp"].to_pylist(), edges["e_src"].to_pylist(), edges["e_dst"].to_pylist()):
             for i in rows.get((sp, src), ()):
                 at = (dst, names[i][2])
                 out[at] = out[at] + v[i] if at in out else v[i]
         return pa.table({"dst": pa.array([k[0] for k in out], pa.int64()), "blk": pa.array([k[1] for k in out], pa.int32()), "v": pa.array([x.tolist() for x in out.values()], pa.list_(pa.float64()))})
 
     m = received.filter("kind = 'raw'").select("sp", "dp", "key", "blk", "v")
-    e = post.select("sp", "dp", "src", "dst")
-    return m.groupBy("dp").cogroup(e.groupBy("dp")).applyInArrow(run, "dst long, blk int, v array<double>")
+    e = post.select(*[F.col(c).alias(f"e_{c}") for c in ("sp", "dp", "src", "dst")])
+    return m.groupBy("dp").cogroup(e.groupBy("e_dp")).applyInArrow(run, "dst long, blk int, v array<double>")
