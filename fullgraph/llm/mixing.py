@@ -56,13 +56,13 @@ def topic_of(text: Column) -> Column:
 
 
 def described(docs: DataFrame) -> DataFrame:
-    """doc_id, the margins' values, n_tokens (words)."""
+    """doc_id, row_hash, the margins' values, n_tokens (words)."""
     text = text_of(docs)
     margin = lambda c: F.coalesce(docs[c].cast("string"), F.lit(NONE)).alias(c)
     topic = F.coalesce(docs["topic"].cast("string"), F.lit(NONE)) if "topic" in docs.columns else topic_of(text)
     squeezed = F.btrim(F.translate(text, WS, " " * len(WS)))
     n = F.when(squeezed == "", 0).otherwise(F.size(F.split(squeezed, " +", -1)))
-    return docs.select(docs["doc_id"].alias("doc_id"), margin("source"), margin("lang"), topic.alias("topic"), n.cast("long").alias("n_tokens"))
+    return docs.select(docs["doc_id"].alias("doc_id"), F.xxhash64(text).alias("row_hash"), margin("source"), margin("lang"), topic.alias("topic"), n.cast("long").alias("n_tokens"))
 
 
 def tempered(totals: dict[str, float], power: float) -> dict[str, float]:
@@ -138,27 +138,27 @@ def cell_factors(spark: SparkSession, facts: DataFrame, targets: dict[str, dict[
     return _spark_factors(spark, cells, targets, power)
 
 
-def calibrated(spark: SparkSession, docs: DataFrame, targets: dict[str, dict[str, float]] | None = None, budget: float | None = None, seed: int = 4, power: float = TEMPER, max_driver_cells: int = MAX_DRIVER_CELLS) -> DataFrame:
-    """doc_id, source, lang, topic, n_tokens, weight, probability, selected of every row."""
-    facts = described(docs)
+def chances(spark: SparkSession, docs: DataFrame, targets: dict[str, dict[str, float]] | None = None, budget: float | None = None, seed: int = 4, power: float = TEMPER, max_driver_cells: int = MAX_DRIVER_CELLS) -> DataFrame:
+    """doc_id, row_hash, source, lang, topic, n_tokens, weight, probability, selected of every row.
+
+    The texts are read once; their facts are a narrow table that both the raking and the draw use.
+    """
+    facts = stored(spark, described(docs), "facts")
     cells = cell_factors(spark, facts, targets, power, max_driver_cells)
     r = cells.agg(F.max(F.when(F.col("tokens") > 0, F.col("factor"))).alias("top"), F.sum(F.col("tokens") * F.col("factor")).alias("mass")).first()
     rate = 1.0 / r.top if r.top else 1.0
     if budget is not None and r.mass:
         rate = min(rate, budget / r.mass)
     weights = cells.select(*MARGINS, F.col("factor").alias("weight"), F.least(F.lit(1.0), F.col("factor") * rate).alias("probability"))
-    return facts.join(weights, list(MARGINS), "left").select("doc_id", *MARGINS, "n_tokens", "weight", "probability", (unit_hash(F.col("doc_id"), seed) < F.col("probability")).alias("selected"))
+    return facts.join(weights, list(MARGINS), "left").select("doc_id", "row_hash", *MARGINS, "n_tokens", "weight", "probability", (unit_hash(F.col("doc_id"), seed) < F.col("probability")).alias("selected"))
+
+
+def calibrated(spark: SparkSession, docs: DataFrame, **options) -> DataFrame:
+    """doc_id, source, lang, topic, n_tokens, weight, probability, selected of every row."""
+    return chances(spark, docs, **options).drop("row_hash")
 
 
 def mix(spark: SparkSession, docs: DataFrame, **options) -> DataFrame:
     """The sampled rows of ``docs``, all columns."""
-    text = text_of(docs)
-    topic = F.coalesce(docs["topic"].cast("string"), F.lit(NONE)) if "topic" in docs.columns else topic_of(text)
-    seed = options.get("seed", 4)
-    facts = described(docs)
-    cells = cell_factors(spark, facts, options.get("targets"), options.get("power", TEMPER))
-    top = cells.agg(F.max(F.when(F.col("tokens") > 0, F.col("factor")))).first()[0]
-    chances = cells.select(*[F.col(m).alias(f"_{m}") for m in MARGINS], F.least(F.lit(1.0), F.col("factor") / F.lit(float(top or 1.0))).alias("_p"))
-    keyed = docs.select("*", F.coalesce(docs["source"].cast("string"), F.lit(NONE)).alias("_source"), F.coalesce(docs["lang"].cast("string"), F.lit(NONE)).alias("_lang"), topic.alias("_topic"))
-    drawn = keyed.join(chances, [f"_{m}" for m in MARGINS]).filter(unit_hash(F.col("doc_id"), seed) < F.col("_p"))
-    return drawn.select(*[drawn[c] for c in docs.columns])
+    drawn = chances(spark, docs, **options).filter("selected").select(F.col("doc_id").alias("_id"), F.col("row_hash").alias("_hash")).distinct()
+    return docs.join(drawn.hint("shuffle_hash"), docs["doc_id"].eqNullSafe(F.col("_id")) & (F.xxhash64(text_of(docs)) == F.col("_hash")), "left_semi")
