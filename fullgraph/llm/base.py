@@ -5,6 +5,7 @@ from __future__ import annotations
 import atexit
 import io
 import os
+import re
 import tempfile
 import uuid
 import zipfile
@@ -21,6 +22,9 @@ WS_CLASS = "[\\x20\\x09-\\x0D]"
 WORD_CLASS = "[^\\x20\\x09-\\x0D]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
+#: A batch of rows on its way to a Python worker: long texts must not add up to the default of 256 MB.
+BATCH_BYTES, MAX_BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch", 16 << 20
+
 _made: list[tuple[SparkSession, str]] = []
 
 
@@ -89,8 +93,11 @@ def discard(spark: SparkSession, *tables: DataFrame) -> None:
 
 
 def ship(spark: SparkSession) -> None:
-    """Send this subpackage's source to the executors, once per application."""
+    """Send this subpackage's source to the executors, once per application; bound a batch's bytes."""
     sc = spark.sparkContext
+    plain = re.fullmatch(r"(\d+)b?", spark.conf.get(BATCH_BYTES))  # a value with a unit was set by hand
+    if plain and int(plain[1]) > MAX_BATCH_BYTES:
+        spark.conf.set(BATCH_BYTES, str(MAX_BATCH_BYTES))
     if getattr(sc, "_corpus_shipped", False):
         return
     here = os.path.dirname(os.path.abspath(__file__))
