@@ -34,6 +34,11 @@ def boundary_sample(cfg: TrainConfig, rate: float = 0.5) -> TrainConfig:
     return replace(cfg, route="post", bits=32, boundary_rate=rate)
 
 
+def adaptive_bits(cfg: TrainConfig) -> TrainConfig:
+    """Every message chooses 2, 4 or 8 bits from the spread of its rows."""
+    return replace(cfg, route="post", bits=8, adaptive=True, lp=False)
+
+
 def pre_only(cfg: TrainConfig) -> TrainConfig:
     return replace(cfg, route="pre", bits=32)
 

@@ -66,7 +66,11 @@ def shipped(routed: DataFrame) -> DataFrame:
 
 
 def plan(remote: DataFrame, strategy: str = "hybrid", **options) -> DataFrame:
-    """Routed remote edges under a strategy: pre, post, best_of_two, hybrid or approx_cover."""
+    """Routed remote edges under a strategy: pre, post, best_of_two, hybrid or approx_cover.
+
+    Sending a vector per edge has a volume (see :func:`volumes`) but no plan: it
+    would materialize every edge's message.
+    """
     if strategy == "hybrid":
         from .cover import routed_by_cover
 

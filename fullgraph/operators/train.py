@@ -47,6 +47,7 @@ class TrainConfig:
     bits: int = 32
     rounding: str = "stochastic"
     group_rows: int = 1
+    adaptive: bool = False  # bits per message from the spread of its rows: 2, 4 or 8
     q_forward: bool = True
     q_backward: bool = True
     layer_norm: bool = True
@@ -237,18 +238,24 @@ class Worker:
         x = x[keep] / (self.cfg.boundary_rate if not keep.all() else 1.0)
         if self.cfg.bits < 32 and (self.cfg.q_backward if back else self.cfg.q_forward) and x.size:
             rng = self.rng(5, layer, self.d["part"], to, int(back)) if self.cfg.rounding == "stochastic" else None
-            q, zp, sc = quantize_rows(x, self.cfg.bits, rng, self.cfg.group_rows)
+            bits = self.bits_for(x) if self.cfg.adaptive else self.cfg.bits
+            q, zp, sc = quantize_rows(x, bits, rng, self.cfg.group_rows)
             self.bytes += q.nbytes
             self.param_bytes += 8 * -(-len(x) // self.cfg.group_rows)
-            return {"n": n, "q": q, "zp": zp, "sc": sc, "width": x.shape[1]}
+            return {"n": n, "q": q, "zp": zp, "sc": sc, "width": x.shape[1], "bits": bits}
         self.bytes += 4 * x.size
         return {"n": n, "x": x.astype(np.float32), "width": x.shape[1]}
 
+    def bits_for(self, x: np.ndarray) -> int:
+        """Messages whose rows spread widely for their size get more bits."""
+        spread = float((x.max(axis=1) - x.min(axis=1)).mean() / (np.abs(x).mean() + 1e-12))
+        return 2 if spread < 3 else 4 if spread < 5 else 8
+
     def unpack(self, m: dict, layer: int, sender: int, back: bool) -> np.ndarray:
         me = self.d["part"]
         keep = self._kept(layer, me if back else sender, sender if back else me, m["n"])
         out = np.zeros((m["n"], m["width"]))
-        out[keep] = dequantize_rows(m["q"], m["zp"], m["sc"], self.cfg.bits, m["width"]) if "q" in m else m["x"]
+        out[keep] = dequantize_rows(m["q"], m["zp"], m["sc"], m["bits"], m["width"]) if "q" in m else m["x"]
         return out
 
     def send(self, layer: int, h: np.ndarray) -> dict[int, dict]:

@@ -42,6 +42,7 @@ Q["train_gin"] = _train(replace(CFG, model="gin", epochs=2))
 Q["delayed_k5"] = _train(replace(baselines.delayed(CFG, 5), epochs=6))
 Q["stale_lag1"] = _train(baselines.stale(CFG))
 Q["boundary_sample"] = _train(baselines.boundary_sample(CFG, 0.5))
+Q["adaptive_bits"] = _train(replace(baselines.adaptive_bits(CFG), epochs=2))
 Q["pre_only"] = _train(replace(baselines.pre_only(CFG), epochs=2))
 
 
