@@ -178,8 +178,8 @@ def exact_groups(spark: SparkSession, docs: DataFrame, key=sha_key, max_files_pe
 def deduplicate(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` that stay, all columns."""
     docs = filed(spark, docs)
-    kept = exact_groups(spark, docs).filter("kept").select("locator")
-    return with_locator(docs).join(kept, F.col("_locator") == F.col("locator"), "left_semi").drop("_locator")
+    kept = exact_groups(spark, docs).filter("kept").select(F.col("locator").alias("_kept_locator"))
+    return with_locator(docs).join(kept, F.col("_locator") == F.col("_kept_locator"), "left_semi").drop("_locator")
 
 
 def digest(spark: SparkSession, docs: DataFrame) -> DataFrame:

@@ -220,19 +220,19 @@ def score(spark: SparkSession, docs: DataFrame, chain: Chain, passed: list[str]
         model = shared.value
         place = {w: i for i, w in enumerate(model.words)}
         table = Chosen(set(place))
-        for batch in slices(batches, "_text", 1 << 20):
-            at = batch.schema.get_field_index("_text")
+        for batch in slices(batches, "text", 1 << 20):
+            at = batch.schema.get_field_index("text")
             texts = batch.column(at).to_pylist()
             x = np.zeros((len(texts), len(place)))
             for i, t in enumerate(texts):
                 for w, v in features(t, table).items():
                     x[i, place[w]] = v
             p = model.probabilities(x)
-            rest = [batch.column(i) for i in range(batch.num_columns) if i != at]
-            yield pa.RecordBatch.from_arrays([*rest, *(pa.array(p[:, k]) for k in range(p.shape[1])), pa.array(p[:, -1] >= model.threshold)], names=[*(n for i, n in enumerate(batch.schema.names) if i != at), *names, "is_toxic"])
+            rest = [i for i in range(batch.num_columns) if i != at or "text" in carried]
+            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in rest), *(pa.array(p[:, k]) for k in range(p.shape[1])), pa.array(p[:, -1] >= model.threshold)], names=[*(batch.schema.names[i] for i in rest), *names, "is_toxic"])
 
-    rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), *[docs[c] for c in carried], docs["text"].cast("string").alias("_text"))
-    fields = ["doc_id long", *[f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name in carried], *[f"{n} double" for n in names], "is_toxic boolean"]
+    rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"].cast("string").alias("text"), *[docs[c] for c in carried if c != "text"])
+    fields = ["doc_id long", *["text string"] * ("text" in carried), *[f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in carried if c != "text"], *[f"{n} double" for n in names], "is_toxic boolean"]
     return rows.mapInArrow(run, ", ".join(fields))
 
 
@@ -242,5 +242,9 @@ def classify(spark: SparkSession, docs: DataFrame, labels: DataFrame) -> DataFra
 
 def keep_clean(spark: SparkSession, docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The rows of ``docs`` that the chain does not reject, all columns."""
-    others = [c for c in docs.columns if c != "doc_id"]
-    return score(spark, docs, train(spark, docs, labels), others).filter("not is_toxic").select(*docs.columns)
+    chain = train(spark, docs, labels)
+    # columns travel under names of their own, so none can clash with a result's
+    own = {c: c if c in ("doc_id", "text") else f"_c{i}" for i, c in enumerate(docs.columns)}
+    flat = docs.select(*[docs[c].alias(n) for c, n in own.items()])
+    kept = score(spark, flat, chain, [n for n in own.values() if n != "doc_id"]).filter("not is_toxic")
+    return kept.select(*[F.col(n).cast(docs.schema[c].dataType).alias(c) for c, n in own.items()])

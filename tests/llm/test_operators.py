@@ -369,13 +369,13 @@ def test_parity_bitmap_bounds_overlap():
 def test_toxicity_held_out(spark):
     from fullgraph.llm import toxicity
 
-    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "labels"))
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
     chain = toxicity.train(spark, docs, labels.filter("doc_id % 2 = 0"))
     scored = toxicity.score(spark, docs, chain).join(labels.filter("doc_id % 2 = 1"), "doc_id").collect()
     clean = [r for r in scored if not r.toxic]
     assert sum(r.is_toxic for r in clean) <= 0.02 * len(clean)
     toxic = [r for r in scored if r.toxic]
-    assert sum(r.is_toxic for r in toxic) >= 0.6 * len(toxic)
+    assert sum(r.is_toxic for r in toxic) >= 0.8 * len(toxic)
     assert all(0 <= p <= 1 for r in scored for p in (r.p_insult, r.p_contempt, r.p_toxic))
 
 
