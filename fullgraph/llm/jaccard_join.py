@@ -20,7 +20,10 @@ of word shingles.  The result names each document's component.
     components are all checked.  Rows of the largest component and the other rows
     of a shingle are dealt into blocks; a tile is a pair of blocks of which one
     holds other rows, so pairs inside the large component are never formed.
-    Bitmaps are compared in the tile; only pairs that pass them leave it.
+    Bitmaps are compared in the tile; only pairs that pass them leave it.  In the
+    first passes a tile lets each component's ``BEST`` closest pairs leave, and
+    what they link is merged; the last pass lets all that are still apart leave,
+    so the components are exact while a group of near copies gives few pairs.
 
 Hashes are 64 bit; a collision of two shingles within one pair of documents is
 the only way to a wrong count.
@@ -46,9 +49,10 @@ from .base import ship, slices, stored
 from .components import connected
 from .shingles import shingle_sets
 
-COUNTERS = 1 << 18
+COUNTERS = 1 << 20
 PARTS = 64
 TILE = 1024
+BEST = (3, None)
 
 
 def least_overlap(n: int, m: int, percent: int) -> int:
@@ -66,7 +70,8 @@ def band(n: np.ndarray | int, percent: int):
 
 
 def _width(n: int) -> int:
-    return 1 << max(6, (n >> 1).bit_length())
+    # with one to two bits per shingle few differences fall on one bit, so the bound is close to the true overlap
+    return 1 << max(6, n.bit_length())
 
 
 def parity_bitmap(hashes: np.ndarray) -> bytes:
@@ -103,7 +108,7 @@ def _first_pass(k: int):
             )
         if count.any():
             lane = TaskContext.get().partitionId() % PARTS
-            blobs = [c.astype("<i8").tobytes() for c in np.split(count, PARTS)]
+            blobs = [c.astype("<u4").tobytes() for c in np.split(count, PARTS)]
             yield pa.RecordBatch.from_arrays(
                 [pa.nulls(PARTS, pa.int64()), pa.nulls(PARTS, pa.int64()), pa.nulls(PARTS, pa.binary()), pa.array(range(PARTS), pa.int32()), pa.array([lane] * PARTS, pa.int32()), pa.array(blobs, pa.binary())],
                 names=["doc_id", "n", "set_key", "part", "lane", "counts"],
@@ -113,12 +118,12 @@ def _first_pass(k: int):
 
 
 def _sum_counts(table: pa.Table) -> pa.Table:
-    total = sum(np.frombuffer(b, dtype="<i8") for b in table["counts"].to_pylist())
-    return pa.table({"part": pa.array([table["part"][0].as_py()], pa.int32()), "lane": pa.array([table["lane"][0].as_py() if "lane" in table.column_names else 0], pa.int32()), "counts": pa.array([total.astype("<i8").tobytes()], pa.binary())})
+    total = sum(np.frombuffer(b, dtype="<u4").astype(np.int64) for b in table["counts"].to_pylist())
+    return pa.table({"part": pa.array([table["part"][0].as_py()], pa.int32()), "lane": pa.array([table["lane"][0].as_py() if "lane" in table.column_names else 0], pa.int32()), "counts": pa.array([np.minimum(total, 0xFFFFFFFF).astype("<u4").tobytes()], pa.binary())})
 
 
 def count_table(first: DataFrame) -> np.ndarray:
-    """The binary logarithm of every hashed counter (``COUNTERS`` bytes)."""
+    """Eight times the binary logarithm of every hashed counter (two bytes each)."""
     schema = "part int, lane int, counts binary"
     rows = first.filter("part is not null").select("part", "lane", "counts")
     lanes = rows.groupBy("part", "lane").applyInArrow(_sum_counts, schema)
@@ -126,8 +131,8 @@ def count_table(first: DataFrame) -> np.ndarray:
     total = np.zeros(COUNTERS, dtype=np.int64)
     size = COUNTERS // PARTS
     for r in parts.collect():  # PARTS rows
-        total[r.part * size : (r.part + 1) * size] = np.frombuffer(r.counts, dtype="<i8")
-    return np.ceil(np.log2(total + 1)).astype(np.uint8)
+        total[r.part * size : (r.part + 1) * size] = np.frombuffer(r.counts, dtype="<u4")
+    return np.round(8 * np.log2(total + 1)).astype(np.uint16)
 
 
 def _second_pass(k: int, percent: int, shared):
@@ -219,12 +224,13 @@ def verified(spark: SparkSession, pairs: DataFrame, signatures: DataFrame, docs:
     return stored(spark, full.mapInArrow(_exact(k, percent), "a long, b long").distinct(), "links")
 
 
-def _tile_pairs(percent: int):
+def _tile_pairs(percent: int, best: int | None):
     def pairs_of(ids, ns, comps, sides, bits):
-        """Candidate pairs of one tile that pass size and bit counts."""
+        """Candidate pairs of one tile that pass size and bit counts; ``best`` per component, or all."""
         order = np.argsort(ns, kind="stable")
         ids, ns, comps, sides = ids[order], ns[order], comps[order], sides[order]
         bits = [bits[i] for i in order]
+        left, right, share = [], [], []
         for i in range(len(ids) - 1):
             stop = np.searchsorted(ns, ns[i] * 100 // percent, side="right")
             j = np.arange(i + 1, stop)
@@ -235,8 +241,22 @@ def _tile_pairs(percent: int):
             near = np.stack([fold(bits[x], w) for x in j])
             differ = np.bitwise_count(near ^ fold(bits[i], near.shape[1])).sum(axis=1, dtype=np.int64)
             need = -(-percent * (ns[i] + ns[j]) // (100 + percent))
-            for x in j[(ns[i] + ns[j] - differ) // 2 >= need]:
-                yield min(ids[i], ids[x]), max(ids[i], ids[x])
+            ok = (ns[i] + ns[j] - differ) // 2 >= need
+            left.append(np.full(int(ok.sum()), i))
+            right.append(j[ok])
+            share.append(differ[ok] / (ns[i] + ns[j[ok]]))
+        if not left:
+            return
+        left, right = np.concatenate(left), np.concatenate(right)
+        used: dict[int, int] = {}
+        for e in np.argsort(np.concatenate(share), kind="stable") if best else range(len(left)):
+            i, x = left[e], right[e]
+            if best:
+                a, b = int(comps[i]), int(comps[x])
+                if used.get(a, 0) >= best and used.get(b, 0) >= best:
+                    continue
+                used[a], used[b] = used.get(a, 0) + 1, used.get(b, 0) + 1
+            yield min(ids[i], ids[x]), max(ids[i], ids[x])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, key, found = [], None, set()
@@ -271,13 +291,12 @@ def tiles(postings: DataFrame, parts: DataFrame) -> DataFrame:
 
     ``postings`` has token, id, n, band; ``parts`` node and component.
     """
+    blocks = lambda c: F.ceil(F.col(c) / F.lit(TILE)).cast("int")
     rows = postings.join(parts.select(F.col("node").alias("id"), "component"), "id", "left").select("token", "id", "n", F.coalesce("component", "id").alias("comp"))
-    mixed = rows.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo <> hi").select("token")
-    rows = rows.join(mixed, "token")
     sizes = rows.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("c"))
-    whole = sizes.groupBy("token").agg(F.max_by("comp", F.struct("c", "comp")).alias("main"), F.max("c").alias("n_main"), (F.sum("c") - F.max("c")).alias("n_other"))
-    blocks = lambda c: F.ceil(F.col(c) / F.lit(TILE)).cast("int")
-    rows = rows.join(whole.select("token", "main", blocks("n_main").alias("bm"), blocks("n_other").alias("bo"), (F.col("n_main") + F.col("n_other") <= TILE).alias("one")), "token")
+    whole = sizes.groupBy("token").agg(F.max_by("comp", F.struct("c", "comp")).alias("main"), F.max("c").alias("n_main"), (F.sum("c") - F.max("c")).alias("n_other")).filter("n_other > 0")
+    whole = stored(postings.sparkSession, whole.select("token", "main", blocks("n_main").alias("bm"), blocks("n_other").alias("bo"), (F.col("n_main") + F.col("n_other") <= TILE).alias("one")), "mixed-tokens")
+    rows = rows.join(whole, "token")
     is_main = F.col("comp") == F.col("main")
     mine = F.pmod(F.xxhash64("id"), F.when(is_main, F.col("bm")).otherwise(F.col("bo"))).cast("int")
     every = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
@@ -312,14 +331,17 @@ def similar(spark: SparkSession, docs: DataFrame, k: int = 4, percent: int = 85)
     heads = postings.groupBy("token", "band").agg(F.min("id").alias("head"))
     near = postings.select("token", "id", "n", F.explode(F.array(F.col("band"), F.col("band") - 1)).alias("band")).join(heads, ["token", "band"])
     stars = near.filter("id <> head").select(F.least("id", "head").alias("a"), F.greatest("id", "head").alias("b")).distinct()
-    star_links = verified(spark, stored(spark, stars, "stars"), signatures, docs, k, percent)
-    parts = stored(spark, connected(spark, star_links), "star-components")
-
-    tiled = tiles(postings, parts).join(signatures.select("id", "bits"), "id").select("tile", "id", "n", "comp", "side", "bits")
-    dealt = tiled.repartition("tile").sortWithinPartitions("tile")
-    cross = stored(spark, dealt.mapInArrow(_tile_pairs(percent), "a long, b long").distinct(), "tile-pairs")
-    links = star_links.unionByName(verified(spark, cross, signatures, docs, k, percent))
-    joined = connected(spark, links).withColumnRenamed("node", "id")
+    links = verified(spark, stored(spark, stars, "stars"), signatures, docs, k, percent)
+    parts = stored(spark, connected(spark, links), "components")
+    for best in BEST:
+        tiled = tiles(postings, parts).join(signatures.select("id", "bits"), "id").select("tile", "id", "n", "comp", "side", "bits")
+        dealt = tiled.repartition("tile").sortWithinPartitions("tile")
+        cross = stored(spark, dealt.mapInArrow(_tile_pairs(percent, best), "a long, b long").distinct(), "tile-pairs")
+        if cross.isEmpty():  # no pair that could link is left apart
+            break
+        links = links.unionByName(verified(spark, cross, signatures, docs, k, percent))
+        parts = stored(spark, connected(spark, links), "components")
+    joined = parts.withColumnRenamed("node", "id")
     labels = classes.join(joined, "id", "left").select("set_key", F.coalesce("component", "id").alias("component_id"))
     return members.join(labels, "set_key", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"))
 
