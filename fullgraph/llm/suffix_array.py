@@ -23,38 +23,42 @@ def first_buckets(text: np.ndarray) -> np.ndarray:
     return np.unique(gram, return_inverse=True)[1].astype(np.int64)
 
 
-def offsets(depth: int) -> list[tuple[int, int]]:
-    """(offset, depth reached) of the refinement passes from Q to ``depth``."""
-    out, h = [], Q
+def offsets(depth: int, q: int = Q) -> list[int]:
+    """Offsets of the refinement passes from q to ``depth``: each at most doubles what is sorted."""
+    out, h = [], q
     while h < depth:
-        step = min(h, depth - h)
-        h += step
-        out.append((step, h))
+        out.append(min(h, depth - h))
+        h += out[-1]
     return out
 
 
-def bucket_ids(text: np.ndarray, starts: np.ndarray, depth: int) -> np.ndarray:
-    """Ranks of the strings of ``depth`` bytes at ``starts``; equal strings share a rank."""
-    passes = offsets(depth)
+def bucket_ids(text: np.ndarray, starts: np.ndarray, depth: int, q: int = Q, gram=None) -> np.ndarray:
+    """Identifiers of the strings of ``depth`` bytes at ``starts``; equal strings share one.
+
+    ``gram`` gives a value per q-gram at the places it is asked for.  Without it the
+    q-grams' own order is used, and the identifiers are ranks.
+    """
+    passes = offsets(depth, q)
     wanted = [np.unique(starts)]
-    for step, _ in reversed(passes):
+    for step in reversed(passes):
         wanted.append(np.unique(np.concatenate([wanted[-1], wanted[-1] + step])))
-    ids = first_buckets(text)
-    if not passes:
-        return ids[starts]
-    for (step, _), places in zip(passes, reversed(wanted[:-1])):
+    ids = np.zeros(len(text), dtype=np.int64)
+    if gram is None:
+        ids = first_buckets(text)
+    else:
+        ids[wanted[-1]] = np.unique(gram(wanted[-1]), return_inverse=True)[1]
+    for step, places in zip(passes, reversed(wanted[:-1])):
         here, later = ids[places], ids[places + step]
         width = int(ids.max()) + 1
         size = np.bincount(here, minlength=width)
-        order = np.cumsum(size) - size  # where a bucket's ranks begin
-        new = order[here]
+        new = (np.cumsum(size) - size)[here]  # where a bucket's ranks begin
         shared = np.flatnonzero(size[here] > 1)
         if len(shared):
             keys, back = np.unique(here[shared] * np.int64(width) + later[shared], return_inverse=True)
             bucket = keys // width
             within = np.arange(len(keys)) - np.searchsorted(bucket, bucket, side="left")
             new[shared] += within[back]
-        ids = np.full(len(text), 0, dtype=np.int64)
+        ids = np.zeros(len(text), dtype=np.int64)
         ids[places] = new
     return ids[starts]
 

@@ -15,8 +15,8 @@ too many to sort as rows, so they move in buckets:
     on the map side.
 3.  What remains are single hulls beside others under one core.  One context per
     hull is cut from the texts, and the windows of a core's contexts are sorted by
-    bucket-pointer refinement (:mod:`suffix_array`) to ``LENGTH`` bytes; a bucket
-    of weight two or more is repeated.
+    bucket-pointer refinement (:mod:`suffix_array`), from q-grams of a quarter of
+    ``LENGTH`` to ``LENGTH`` bytes; a bucket of weight two or more is repeated.
 4.  A core with more than ``MAX_GROUP`` contexts is first refined across tasks:
     its range of windows is cut in four, each part with its own core and hull, and
     steps 2 and 3 are taken again on the parts, down to single windows.
@@ -62,6 +62,11 @@ class Hashes:
         np.cumsum((data.astype(np.uint64) + np.uint64(1)) * _power_table(len(data) + 1, False)[: len(data)], out=self.total[1:])
         self.inverse = _power_table(len(data) + 1, True)
 
+    def grams(self, q: int) -> np.ndarray:
+        """The hash of the q bytes at every place."""
+        n = len(self.total) - q
+        return mix((self.total[q:] - self.total[:n]) * self.inverse[:n])
+
     def of(self, start: np.ndarray, end: np.ndarray, salt: np.ndarray | int = 0) -> np.ndarray:
         raw = (self.total[end] - self.total[start]) * self.inverse[start]
         return mix(raw + (np.asarray(end - start, dtype=np.uint64) * RADIX) ^ np.asarray(salt, dtype=np.uint64))
@@ -72,9 +77,8 @@ def anchor_runs(data: np.ndarray, ends: np.ndarray, length: int = LENGTH, span:
     n = len(data)
     if n < length:
         return (np.zeros(0, dtype=np.int64),) * 3
-    h = Hashes(data)
-    at = np.arange(n - gram + 1)
-    packed = ((h.of(at, at + gram) & ~np.uint64(_PLACE)) | at.astype(np.uint64)).astype(np.uint64)
+    at = np.arange(n - gram + 1, dtype=np.uint64)
+    packed = (Hashes(data).grams(gram) & ~np.uint64(_PLACE)) | at
     full = -(-(len(packed) + span) // span) * span
     grid = np.full(full, np.iinfo(np.uint64).max, dtype=np.uint64)
     grid[: len(packed)] = packed
@@ -181,7 +185,8 @@ def _sort_groups(length: int, budget: int = 1 << 21):
         owner = np.repeat(np.arange(len(held)), count)
         inside = np.arange(len(owner)) - np.repeat(np.cumsum(count) - count, count)
         starts = np.concatenate([[0], ends[:-1]])[owner] + inside
-        ids = bucket_ids(text, starts, length)
+        h = Hashes(text)
+        ids = bucket_ids(text, starts, length, length // 4, lambda at: h.of(at, at + length // 4))
         weight = np.bincount(ids, weights=np.array([r[1] for r in held], dtype=np.float64)[owner])
         hit = np.flatnonzero((weight[ids] >= 2) & (np.array([r[1] for r in held])[owner] == 1))
         cut = np.flatnonzero((owner[hit][1:] != owner[hit][:-1]) | (hit[1:] != hit[:-1] + 1)) + 1
