@@ -22,7 +22,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .base import WS, ascii_lower, text_of
+from .base import WS, ascii_lower, stored, text_of
 
 MIN_KEY_CHARS = 20
 MIN_DOCUMENTS = 3
@@ -61,7 +61,8 @@ def line_positions(docs: DataFrame, min_chars: int = MIN_KEY_CHARS) -> DataFrame
 
 def drop_repeated_lines(docs: DataFrame, min_chars: int = MIN_KEY_CHARS, min_docs: int = MIN_DOCUMENTS) -> DataFrame:
     """doc_id, n_lines, n_dropped, kept_text."""
-    counted = line_counts(docs, min_chars).filter(F.col("n_docs") >= min_docs).select("h1", "h2", "keeper")
+    # stored, so that the join's sides are plain exchanges, whose hot partitions adaptive execution can split
+    counted = stored(docs.sparkSession, line_counts(docs, min_chars).filter(F.col("n_docs") >= min_docs).select("h1", "h2", "keeper"), "line-keys")
     hits = (
         line_positions(docs, min_chars)
         .join(counted, ["h1", "h2"])
