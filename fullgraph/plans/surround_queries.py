@@ -82,20 +82,24 @@ query("agg_spread", "SELECT event_type, round(stddev(value), 6) AS sd, round(var
 
 # ---------------------------------------------------------------- windows, order, top-k
 
-_U = Window.partitionBy("user_id").orderBy("ts", "event_id")
+
+
+def _u():
+    """Events of a user in order; made when a session is there."""
+    return Window.partitionBy("user_id").orderBy("ts", "event_id")
+
+
 query("window_lag", "SELECT event_id, lag(event_type) OVER w AS before, lead(event_type) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")(
-    lambda s, d: load(s, d, "events").select("event_id", F.lag("event_type").over(_U).alias("before"), F.lead("event_type").over(_U).alias("after"))
+    lambda s, d: load(s, d, "events").select("event_id", F.lag("event_type").over(_u()).alias("before"), F.lead("event_type").over(_u()).alias("after"))
 )
 query("window_frame", "SELECT event_id, sum(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW)::BIGINT AS s3, sum(event_id) OVER (PARTITION BY user_id ORDER BY event_id RANGE BETWEEN 100 PRECEDING AND CURRENT ROW)::BIGINT AS near FROM events")(
-    lambda s, d: load(s, d, "events").select("event_id", F.sum("event_id").over(_U.rowsBetween(-2, 0)).alias("s3"), F.sum("event_id").over(Window.partitionBy("user_id").orderBy("event_id").rangeBetween(-100, 0)).alias("near"))
+    lambda s, d: load(s, d, "events").select("event_id", F.sum("event_id").over(_u().rowsBetween(-2, 0)).alias("s3"), F.sum("event_id").over(Window.partitionBy("user_id").orderBy("event_id").rangeBetween(-100, 0)).alias("near"))
 )
 query("window_rank", "SELECT o_orderkey, rank() OVER w AS r, dense_rank() OVER w AS dr, ntile(4) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS q FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderpriority)")(
-    lambda s, d: (lambda w: load(s, d, "orders").select("o_orderkey", F.rank().over(w).cast("long").alias("r"), F.dense_rank().over(w).cast("long").alias("dr"), F.ntile(4).over(Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")).cast("long").alias("q")))(
-        Window.partitionBy("o_custkey").orderBy("o_orderpriority")
-    )
+    lambda s, d: (lambda w: load(s, d, "orders").select("o_orderkey", F.rank().over(w).cast("long").alias("r"), F.dense_rank().over(w).cast("long").alias("dr"), F.ntile(4).over(Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")).cast("long").alias("q")))(Window.partitionBy("o_custkey").orderBy("o_orderpriority"))
 )
 query("window_first_last", "SELECT event_id, first_value(event_id) OVER w AS f, last_value(event_id) OVER w AS l, nth_value(event_id, 2) OVER w AS n FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")(
-    lambda s, d: (lambda w: load(s, d, "events").select("event_id", F.first("event_id").over(w).alias("f"), F.last("event_id").over(w).alias("l"), F.nth_value("event_id", 2).over(w).alias("n")))(_U.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))
+    lambda s, d: (lambda w: load(s, d, "events").select("event_id", F.first("event_id").over(w).alias("f"), F.last("event_id").over(w).alias("l"), F.nth_value("event_id", 2).over(w).alias("n")))(_u().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))
 )
 query("topk_per_node", f"WITH {G6_SQL}, c AS (SELECT u AS src, v AS dst, count(*) AS n FROM ev WHERE u IS NOT NULL AND u <> v GROUP BY u, v), k AS (SELECT *, row_number() OVER (PARTITION BY dst ORDER BY n DESC, src) AS r FROM c) SELECT dst, src, n::BIGINT AS n FROM k WHERE r <= 3")(
     lambda s, d: relational.top_k(graphs.succession(load(s, d, "events")).filter("u <> v").groupBy(F.col("u").alias("src"), F.col("v").alias("dst")).agg(F.count(F.lit(1)).alias("n")), "dst", [F.desc("n"), "src"], 3).select("dst", "src", "n")
@@ -159,16 +163,21 @@ def sql_vector_functions(s: SparkSession, d: str) -> DataFrame:
 # ---------------------------------------------------------------- user functions
 
 
-@F.pandas_udf("binary")
-def pack_int2(v: pd.Series) -> pd.Series:
-    import numpy as np
+@query("udf_pack", "SELECT vec_id, 16::INT AS bytes FROM embeddings")
+def udf_pack(s: SparkSession, d: str) -> DataFrame:
+    relational.ready(s)
+
+    @F.pandas_udf("binary")
+    def pack_int2(v: pd.Series) -> pd.Series:
+        import numpy as np
+
+        from fullgraph.operators.quantize import quantize_rows
 
-    from fullgraph.operators.quantize import quantize_rows
+        return pd.Series([quantize_rows(np.asarray(x, dtype=float)[None], 2)[0][0].tobytes() for x in v])
 
-    return pd.Series([quantize_rows(np.asarray(x, dtype=float)[None], 2)[0][0].tobytes() for x in v])
+    return load(s, d, "embeddings").select("vec_id", F.length(pack_int2("embedding")).alias("bytes"))
 
 
-query("udf_pack", "SELECT vec_id, 16::INT AS bytes FROM embeddings")(lambda s, d: (relational.ready(s), load(s, d, "embeddings").select("vec_id", F.length(pack_int2("embedding")).alias("bytes")))[1])
 query("udf_grouped_sum", "SELECT label, round(sum(embedding[1]::DOUBLE), 6) AS x FROM embeddings GROUP BY label")(lambda s, d: relational.vector_sum(load(s, d, "embeddings").select("label", "embedding")).select("label", F.round(F.get("v", F.lit(0)), 6).alias("x")))
 
 
