@@ -250,6 +250,24 @@ def test_fuzzy_passages(spark):
     assert chaining.passages(spark, table(spark, [])).count() == 0
 
 
+def test_two_passages_of_one_pair(spark):
+    from fullgraph.llm import chaining
+
+    rng = random.Random(21)
+    vocabulary = [f"w{i}" for i in range(50000)]
+    text = lambda n: [rng.choice(vocabulary) for _ in range(n)]
+    texts, want = [], set()
+    for n, between in [(60, 40), (60, 80), (100, 100), (200, 200)]:
+        p, q = text(n), text(n)
+        d = len(texts)
+        texts += [text(20) + p + text(between) + q + text(20), text(7) + p + text(between) + q + text(9)]
+        want |= {(d + 1, d, 7, n, 20, n, n), (d + 1, d, 7 + n + between, n, 20 + n + between, n, n)}
+    p = text(400)  # the middle quarter is written anew
+    texts += [p, p[:150] + text(100) + p[250:]]
+    want |= {(9, 8, 0, 150, 0, 150, 150), (9, 8, 250, 150, 250, 150, 150)}
+    assert {tuple(r) for r in chaining.passages(spark, table(spark, [" ".join(t) for t in texts])).collect()} == want
+
+
 # ---------------------------------------------------------------- packing
 
 
