@@ -268,6 +268,23 @@ def test_two_passages_of_one_pair(spark):
     assert {tuple(r) for r in chaining.passages(spark, table(spark, [" ".join(t) for t in texts])).collect()} == want
 
 
+def test_passages_with_evenly_replaced_words(spark):
+    from fullgraph.llm import chaining
+
+    rng = random.Random(22)
+    vocabulary = [f"w{i}" for i in range(50000)]
+    text = lambda n: [rng.choice(vocabulary) for _ in range(n)]
+    texts, want = [], set()
+    for every in (5, 6, 7, 8, 10):
+        for n in (60, 100):
+            p = text(n)
+            q = [f"new{i}" if i % every == every - 1 else w for i, w in enumerate(p)]
+            want.add((len(texts) + 1, len(texts)))
+            texts += [text(30) + p + text(30), text(30) + q + text(30)]
+    rows = chaining.passages(spark, table(spark, [" ".join(t) for t in texts])).collect()
+    assert {(r.doc_id, r.ref_doc_id) for r in rows} == want and len(rows) == len(want)
+
+
 # ---------------------------------------------------------------- packing
 
 
