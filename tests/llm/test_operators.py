@@ -285,6 +285,26 @@ def test_passages_with_evenly_replaced_words(spark):
     assert {(r.doc_id, r.ref_doc_id) for r in rows} == want and len(rows) == len(want)
 
 
+def test_passages_of_fragments_in_smaller_documents(spark):
+    from fullgraph.llm import chaining
+
+    rng = random.Random(23)
+    vocabulary = [f"w{i}" for i in range(50000)]
+    text = lambda n: [rng.choice(vocabulary) for _ in range(n)]
+    texts, want = [], set()
+    for cuts in ([(0, 30), (30, 60)], [(0, 25), (15, 40), (35, 60)]):  # two lines; fragments that overlap
+        for one in (False, True):
+            p = text(60)
+            small = [text(20) + p[lo:hi] + text(20) for lo, hi in cuts]
+            texts += [sum(small, [])] if one else small
+            want.add((len(texts) + 1, len(texts), 11, 60, 33, 60, 60))
+            texts += [text(33) + p + text(5), text(11) + p + text(8)]
+    p, d = text(60), len(texts)  # all seeds of the passage stand elsewhere in the head before
+    texts += [sum((p[i : i + 20] + text(60) for i in range(0, 60, 10)), []) + p, p]
+    want.add((d + 1, d, 0, 60, len(texts[d]) - 60, 60, 60))
+    assert {tuple(r) for r in chaining.passages(spark, table(spark, [" ".join(t) for t in texts])).collect()} == want
+
+
 # ---------------------------------------------------------------- packing
 
 
