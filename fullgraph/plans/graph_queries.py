@@ -75,8 +75,8 @@ def g6_remote(spark: SparkSession, d: str) -> DataFrame:
     return remote.split(remote.located_by_mod(graphs.user_succession(spark, d).edges, SUCC_P))[1]
 
 
-def lines_remote(spark: SparkSession, d: str) -> DataFrame:
-    li = load(spark, d, "lineitem").filter("l_quantity >= 45 and l_discount >= 0.09")
+def lines_remote(spark: SparkSession, d: str, keep: str = "l_quantity >= 45 and l_discount >= 0.09") -> DataFrame:
+    li = load(spark, d, "lineitem").filter(keep)
     e = li.select(F.col("l_suppkey").alias("src"), F.col("l_partkey").alias("dst"), F.lit(1.0).alias("w")).distinct()
     return remote.split(remote.located_by_mod(e, P))[1]
 
@@ -184,6 +184,8 @@ query("route_edges", f"{BIT6} SELECT sp, dp, src, dst, route FROM routed")(lambd
 query("cover_members", f"{BIT6} SELECT DISTINCT sp, dp, 'src' AS side, src AS id FROM routed WHERE route = 'post' UNION ALL SELECT DISTINCT sp, dp, 'dst', dst FROM routed WHERE route = 'pre'")(lambda spark, d: cover.minimum_cover(g6_remote(spark, d)))
 query("matching_size", f"{BIT6} SELECT sp, dp, size AS matched FROM open")(lambda spark, d: cover.matching_sizes(g6_remote(spark, d)))
 query("route_edges_lineitem", f"WITH {LINES_SQL}, {bitmask_sql('r')} SELECT sp, dp, src, dst, route FROM routed")(lambda spark, d: cover.routed_by_cover(lines_remote(spark, d)).select("sp", "dp", "src", "dst", "route"))
+# the whole table; its pairs are too wide for the bitmasks of the SQL above
+Q["route_edges_lineitem_all"] = lambda spark, d: cover.routed_by_cover(lines_remote(spark, d, "true")).select("sp", "dp", "src", "dst", "route")
 query(
     "cover_components",
     f"""WITH RECURSIVE {G6_SQL}, two AS (SELECT DISTINCT x.sp, x.dp, x.src AS a, y.src AS b FROM r x JOIN r y ON x.sp = y.sp AND x.dp = y.dp AND x.dst = y.dst),

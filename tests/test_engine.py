@@ -321,3 +321,24 @@ def test_layer_kernels():
     seg = train._segments(np.array([2, 0, 2]), np.array([1, 1, 0]), np.array([1.0, 2.0, 3.0]))
     v = np.array([[1.0], [10.0]])
     assert train.segment_sum(3, seg, v).ravel().tolist() == [20.0, 0.0, 13.0] == train.segment_sum(3, seg, v, 1).ravel().tolist()
+
+
+def test_all_of_lineitem_is_routed(spark, tmp_path):
+    rng = random.Random(31)
+    lines = [(rng.randint(1, 24), rng.randint(1, 40), float(rng.randint(1, 50)), rng.randint(0, 10) / 100) for _ in range(220)]
+    spark.createDataFrame(lines, "l_suppkey long, l_partkey long, l_quantity double, l_discount double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    pairs = {}
+    for s, p, _, _ in lines:
+        if s % 8 != p % 8:
+            pairs.setdefault((s % 8, p % 8), set()).add((s, p))
+    want = set()
+    for (sp, dp), edges in pairs.items():
+        sources = sorted({s for s, _ in edges})
+        cost = {}  # sources left uncovered put their neighbours into the cover
+        for bits in range(1 << len(sources)):
+            left = {s for i, s in enumerate(sources) if bits >> i & 1}
+            cost[frozenset(left)] = len(sources) - len(left) + len({p for s, p in edges if s in left})
+        left = frozenset.intersection(*[x for x, c in cost.items() if c == min(cost.values())])
+        want |= {(sp, dp, s, p, "pre" if s in left else "post") for s, p in edges}
+    got = [tuple(r) for r in graph_queries.Q["route_edges_lineitem_all"](spark, str(tmp_path)).collect()]
+    assert len(got) == len(set(got)) and set(got) == want
