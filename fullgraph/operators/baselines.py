@@ -19,13 +19,18 @@ def complete(cfg: TrainConfig) -> TrainConfig:
     return replace(cfg, route="hybrid", bits=2, lp=True, layer_norm=True)
 
 
+def unreduced(cfg: TrainConfig) -> TrainConfig:
+    """Synchronous exchange at full precision with a vector per cut edge."""
+    return replace(cfg, route="edge", bits=32, lp=False)
+
+
 def delayed(cfg: TrainConfig, every: int = 5) -> TrainConfig:
     """Remote sums are exchanged every ``every`` epochs and reused between; one is the synchronous method."""
     return replace(cfg, route="post", bits=32, refresh_every=every)
 
 
 def stale(cfg: TrainConfig) -> TrainConfig:
-    """An epoch computes with the remote sums of the epoch before; the exchange is off the critical path."""
+    """An epoch computes with the remote sums and gradients of the epoch before; the exchange is off the critical path."""
     return replace(cfg, route="post", bits=32, stale_lag=1)
 
 

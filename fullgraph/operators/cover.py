@@ -1,14 +1,17 @@
 """Minimum vertex covers of the bipartite cut graphs, pair of parts by pair of parts.
 
 The cover is computed on edge identifiers only.  Pairs are dealt by (sp, dp) and
-each is solved by maximum matching (phases of shortest augmenting paths, without
-recursion) and the alternating reach of the unmatched sources: sources outside
-the reach and destinations inside it are the cover.  That cover does not depend
-on which maximum matching was found, so routes are reproducible.
+each is solved by maximum matching and the alternating reach of the unmatched
+sources: sources outside the reach and destinations inside it are the cover.
+That cover does not depend on which maximum matching was found, so routes are
+reproducible.  The matching starts from leaves and free pairs, then phases grow
+trees from all unmatched sources at once; every step is a few passes over arrays.
 
 A pair with more than ``max_pair_edges`` edges is first cut into connected
-components by a distributed pass; a component that is still larger takes the
-cover of a greedy matching, at most twice the minimum.
+components by a distributed pass.  A component that is still larger does not fit
+the task: that is an error, unless the caller asks for an approximation
+(``approximate=True``), which is the cover of a greedy matching for those
+components, at most twice the minimum.
 """
 
 from __future__ import annotations
@@ -26,57 +29,74 @@ from .remote import PAIR
 MAX_PAIR_EDGES = 4_000_000
 
 
-def max_matching(n_left: int, n_right: int, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Partner of every left and right vertex (-1: none) in a maximum matching of the edges (left, right)."""
-    order = np.lexsort((right, left))
-    left, right = left[order], right[order]
-    begin = np.searchsorted(left, np.arange(n_left + 1)).tolist()
-    to = right.tolist()
-    mate_l, mate_r = [-1] * n_left, [-1] * n_right
-    for u in range(n_left):  # a greedy start leaves few phases
-        for e in range(begin[u], begin[u + 1]):
-            if mate_r[to[e]] < 0:
-                mate_l[u], mate_r[to[e]] = to[e], u
-                break
+def _edges_of(front: np.ndarray, begin: np.ndarray, to: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(left, right) of every edge of the left vertices ``front``; ``begin`` and ``to`` list edges by left vertex."""
+    n = begin[front + 1] - begin[front]
+    at = np.repeat(begin[front], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+    return np.repeat(front, n), to[at]
+
+
+def _start(n_left: int, n_right: int, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """A matching to begin with: vertices with one open edge take it while there are many, then whoever is free."""
+    mate_l, mate_r = np.full(n_left, -1), np.full(n_right, -1)
+    while len(left):
+        before = len(left)
+        deg_l, deg_r = np.bincount(left, minlength=n_left), np.bincount(right, minlength=n_right)
+        leaf = (deg_l[left] == 1) | (deg_r[right] == 1)
+        u, v = (left[leaf], right[leaf]) if leaf.sum() * 100 >= before else (left, right)
+        # each left vertex names its first open neighbour, each right vertex takes one that named it
+        u, at = np.unique(u, return_index=True)
+        v, at = np.unique(v[at], return_index=True)
+        mate_l[u[at]], mate_r[v] = v, u[at]
+        rest = (mate_l[left] < 0) & (mate_r[right] < 0)
+        left, right = left[rest], right[rest]
+    return mate_l, mate_r
+
+
+def _grow(begin: np.ndarray, to: np.ndarray, mate_l: np.ndarray, mate_r: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Alternating trees from all free left vertices at once, level by level.
+
+    Returns (ends of augmenting paths, parent of every reached right vertex, is each left vertex reached).
+    Trees share no vertex, a tree stops at its first end, and without an end the reach is complete.
+    """
+    root = np.where(mate_l < 0, np.arange(len(mate_l)), -1)
+    parent = np.full(len(mate_r), -1)
+    done = np.zeros(len(mate_l), dtype=bool)
+    ends = []
+    front = np.flatnonzero(mate_l < 0)
+    while len(front):
+        u, v = _edges_of(front, begin, to)
+        new = parent[v] < 0
+        v, at = np.unique(v[new], return_index=True)
+        u = u[new][at]
+        parent[v] = u
+        free = mate_r[v] < 0
+        tree, first = np.unique(root[u[free]], return_index=True)
+        ends.append(v[free][first])
+        done[tree] = True
+        on = ~free & ~done[root[u]]
+        front = mate_r[v[on]]
+        root[front] = root[u[on]]
+    return (np.concatenate(ends) if ends else np.zeros(0, dtype=np.int64)), parent, root >= 0
+
+
+def max_matching(n_left: int, n_right: int, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """A maximum matching of the edges (left, right) and what the unmatched left vertices reach by alternating paths.
+
+    (partner of each left vertex, of each right vertex, is each left reached, is each right reached); -1 is no partner.
+    """
+    order = np.argsort(left, kind="stable")
+    begin, to = np.searchsorted(left[order], np.arange(n_left + 1)), right[order]
+    mate_l, mate_r = _start(n_left, n_right, left, right)
     while True:
-        level = [0 if m < 0 else -1 for m in mate_l]
-        queue = [u for u in range(n_left) if mate_l[u] < 0]
-        found = False
-        for u in queue:  # grows while it is read
-            for e in range(begin[u], begin[u + 1]):
-                nxt = mate_r[to[e]]
-                if nxt < 0:
-                    found = True
-                elif level[nxt] < 0:
-                    level[nxt] = level[u] + 1
-                    queue.append(nxt)
-        if not found:
-            return np.array(mate_l, dtype=np.int64), np.array(mate_r, dtype=np.int64)
-        cursor = begin[:-1].copy()
-        for root in range(n_left):
-            if mate_l[root] >= 0:
-                continue
-            path = [root]
-            while path:
-                u = path[-1]
-                if cursor[u] == begin[u + 1]:
-                    level[u] = -1
-                    path.pop()
-                    if path:
-                        cursor[path[-1]] += 1
-                    continue
-                nxt = mate_r[to[cursor[u]]]
-                if nxt < 0:
-                    for x in reversed(path):  # flip the path
-                        v = to[cursor[x]]
-                        mate_l[x], mate_r[v] = v, x
-                    for x in path:
-                        cursor[x] += 1
-                    path = []
-                elif level[nxt] == level[u] + 1:
-                    path.append(nxt)
-                else:
-                    cursor[u] += 1
+        v, parent, reached = _grow(begin, to, mate_l, mate_r)
+        if not len(v):
+            return mate_l, mate_r, reached, parent >= 0
+        while len(v):  # flip all paths, an edge of each at a time
+            u = parent[v]
+            before = mate_l[u]
+            mate_l[u], mate_r[v] = v, u
+            v = before[before >= 0]
 
 
 def konig_cover(left: np.ndarray, right: np.ndarray, side: str = "src") -> tuple[np.ndarray, np.ndarray, int]:
@@ -87,22 +107,7 @@ def konig_cover(left: np.ndarray, right: np.ndarray, side: str = "src") -> tuple
     if side == "dst":
         b, a, size = konig_cover(right, left, "src")
         return a, b, size
-    n_left, n_right = int(left.max()) + 1, int(right.max()) + 1
-    mate_l, mate_r = max_matching(n_left, n_right, left, right)
-    order = np.argsort(left, kind="stable")
-    begin = np.searchsorted(left[order], np.arange(n_left + 1))
-    to = right[order]
-    reach_l, reach_r = mate_l < 0, np.zeros(n_right, dtype=bool)
-    stack = np.flatnonzero(reach_l).tolist()
-    while stack:
-        u = stack.pop()
-        for v in to[begin[u] : begin[u + 1]]:
-            if not reach_r[v]:
-                reach_r[v] = True
-                w = mate_r[v]
-                if w >= 0 and not reach_l[w]:
-                    reach_l[w] = True
-                    stack.append(int(w))
+    mate_l, _, reach_l, reach_r = max_matching(int(left.max()) + 1, int(right.max()) + 1, left, right)
     return ~reach_l, reach_r, int((mate_l >= 0).sum())
 
 
@@ -129,13 +134,14 @@ def _groups(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[tuple[tupl
         yield key, pa.Table.from_batches(held)
 
 
-def _route_pairs(side: str, limit: int):
+def _route_pairs(side: str, limit: int, approximate: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, t in _groups(batches, 3):
-            src, dst = t["src"].to_numpy(), t["dst"].to_numpy()
-            us, u = np.unique(src, return_inverse=True)
-            vs, v = np.unique(dst, return_inverse=True)
-            if len(src) > limit:
+        for (sp, dp, _), t in _groups(batches, 3):
+            u = np.unique(t["src"].to_numpy(), return_inverse=True)[1]
+            v = np.unique(t["dst"].to_numpy(), return_inverse=True)[1]
+            if len(u) > limit:
+                if not approximate:
+                    raise ValueError(f"parts {sp} to {dp}: a component of {len(u)} cut edges, more than {limit}; use more parts, a larger max_pair_edges, or approximate=True")
                 covered = greedy_arrays(u, v)[0]
             else:
                 covered = konig_cover(u, v, side)[0]
@@ -146,12 +152,9 @@ def _route_pairs(side: str, limit: int):
 
 
 def greedy_arrays(left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Both ends of a greedy matching: a cover of at most twice the minimum."""
-    a, b = np.zeros(int(left.max()) + 1, dtype=bool), np.zeros(int(right.max()) + 1, dtype=bool)
-    for u, v in zip(left.tolist(), right.tolist()):
-        if not a[u] and not b[v]:
-            a[u] = b[v] = True
-    return a, b
+    """Both ends of a maximal matching: a cover of at most twice the minimum."""
+    mate_l, mate_r = _start(int(left.max()) + 1, int(right.max()) + 1, left, right)
+    return mate_l >= 0, mate_r >= 0
 
 
 def _with_component(remote: DataFrame, max_pair_edges: int) -> DataFrame:
@@ -166,12 +169,12 @@ def _with_component(remote: DataFrame, max_pair_edges: int) -> DataFrame:
     return rest.unionByName(components(big).withColumnRenamed("component", "comp"))
 
 
-def routed_by_cover(remote: DataFrame, side: str = "src", max_pair_edges: int = MAX_PAIR_EDGES) -> DataFrame:
+def routed_by_cover(remote: DataFrame, side: str = "src", max_pair_edges: int = MAX_PAIR_EDGES, approximate: bool = False) -> DataFrame:
     """Remote edges with their route under the minimum cover; the cover and the route come from one pass."""
     ship(remote.sparkSession)
     rows = _with_component(remote, max_pair_edges).select("sp", "dp", "comp", "src", "dst", "w")
     dealt = rows.repartition("sp", "dp", "comp").sortWithinPartitions("sp", "dp", "comp")
-    return dealt.mapInArrow(_route_pairs(side, max_pair_edges), "sp int, dp int, src long, dst long, w double, route string")
+    return dealt.mapInArrow(_route_pairs(side, max_pair_edges, approximate), "sp int, dp int, src long, dst long, w double, route string")
 
 
 def cover_of(routed: DataFrame) -> DataFrame:
@@ -181,8 +184,8 @@ def cover_of(routed: DataFrame) -> DataFrame:
     return post.unionByName(pre).distinct()
 
 
-def minimum_cover(remote: DataFrame, side: str = "src", max_pair_edges: int = MAX_PAIR_EDGES) -> DataFrame:
-    return cover_of(routed_by_cover(remote, side, max_pair_edges))
+def minimum_cover(remote: DataFrame, side: str = "src", max_pair_edges: int = MAX_PAIR_EDGES, approximate: bool = False) -> DataFrame:
+    return cover_of(routed_by_cover(remote, side, max_pair_edges, approximate))
 
 
 def matching_sizes(remote: DataFrame) -> DataFrame:
@@ -200,11 +203,12 @@ def matching_sizes(remote: DataFrame) -> DataFrame:
     return dealt.mapInArrow(run, "sp int, dp int, matched long")
 
 
-def components(remote: DataFrame, rounds: int = 40) -> DataFrame:
+def components(remote: DataFrame, rounds: int = 1000) -> DataFrame:
     """Remote edges with ``component``: the smallest source of the edge's component within its pair.
 
     Labels spread from sources to destinations and back; after each exchange a
     source also takes the label of the source its label names (pointer jumping).
+    Labels that do not settle within ``rounds`` are an error.
     """
     spark = remote.sparkSession
     edges = remote.select("sp", "dp", "src", "dst")
@@ -219,6 +223,8 @@ def components(remote: DataFrame, rounds: int = 40) -> DataFrame:
         if now == before:
             break
         before = now
+    else:
+        raise RuntimeError(f"labels still change after {rounds} rounds")
     return remote.join(label.withColumnRenamed("c", "component"), ["sp", "dp", "src"]).select("sp", "dp", "src", "dst", "w", "component")
 
 

@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from ..session import cut
 
 MAX_DRIVER_EDGES = 1_000_000
+MAX_DRIVER_NODES = 1_000_000
 
 
 def by_hash(nodes: DataFrame, parts: int) -> DataFrame:
@@ -121,31 +122,38 @@ def grow_parts(n: int, u: np.ndarray, v: np.ndarray, w: np.ndarray, weight: np.n
     return part
 
 
-def multilevel(nodes: DataFrame, edges: DataFrame, parts: int, imbalance: float = 0.05, train_weight: float = 1.0, levels: int = 12, max_driver_edges: int = MAX_DRIVER_EDGES, target: int = 0) -> DataFrame:
+def multilevel(nodes: DataFrame, edges: DataFrame, parts: int, imbalance: float = 0.05, train_weight: float = 1.0, levels: int = 12, max_driver_edges: int = MAX_DRIVER_EDGES, max_driver_nodes: int = MAX_DRIVER_NODES, target: int = 0) -> DataFrame:
     """Minimum-cut partition: coarsen by matching, cut the small graph on the driver, refine on the way back.
 
-    The driver takes the coarse graph only once it has at most ``max_driver_edges`` edges.
+    The driver takes the coarse graph only once it has at most ``max_driver_edges`` edges and
+    ``max_driver_nodes`` nodes with an edge.  Nodes without one never match and never pay for
+    where they are: they are dealt by hash where they are, whatever their number.  A coarse graph
+    that stays above the bounds after ``levels`` levels is partitioned by balanced propagation.
     """
     spark = nodes.sparkSession
     weights = cut(spark, node_weights(nodes, edges, train_weight).withColumn("weight", F.col("weight") + 1.0), "weights")
     e = edges.filter("src <> dst").groupBy(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).agg(F.sum("w").alias("w"))
     e = cut(spark, e, "edges")
+    ends = e.select(F.col("src").alias("id")).unionByName(e.select(F.col("dst").alias("id"))).distinct()
+    alone = by_hash(weights.join(ends, "id", "left_anti"), parts)
+    weights = cut(spark, weights.join(ends, "id", "left_semi"), "weights")
     maps, stack = [], [(e, weights)]
     goal = target or 40 * parts
     for i in range(levels):
         n = weights.count()
-        if n <= goal and e.count() <= max_driver_edges:
+        fits = n <= max_driver_nodes and e.count() <= max_driver_edges
+        if n <= goal and fits:
             break
         to, e, weights = coarsen(e, weights, i)
         e, weights = cut(spark, e, "edges"), cut(spark, weights, "weights")
         maps.append(to)
         stack.append((e, weights))
-        if weights.count() > 0.95 * n and e.count() <= max_driver_edges:
+        if weights.count() > 0.95 * n and weights.count() <= max_driver_nodes and e.count() <= max_driver_edges:
             break
-    if e.count() > max_driver_edges:
+    if e.count() > max_driver_edges or weights.count() > max_driver_nodes:
         now = propagate(weights, e, parts, 6, imbalance, weights)
     else:
-        w = weights.orderBy("id").toPandas()  # bounded by max_driver_edges edges
+        w = weights.orderBy("id").toPandas()  # at most max_driver_nodes rows
         ids = w["id"].to_numpy()
         pairs = e.toPandas()
         at = lambda c: np.searchsorted(ids, pairs[c].to_numpy())
@@ -154,4 +162,4 @@ def multilevel(nodes: DataFrame, edges: DataFrame, parts: int, imbalance: float
     for to, (fine_e, fine_w) in zip(reversed(maps), reversed(stack[:-1])):
         fine = to.join(now.withColumnRenamed("id", "coarse"), "coarse").select("id", "part")
         now = propagate(fine_w, fine_e, parts, 1, imbalance, fine_w, fine)
-    return now
+    return now.select("id", "part").unionByName(alone)

@@ -6,6 +6,7 @@ nothing is agreed on globally: no action and no broadcast precede an exchange.
 
 from __future__ import annotations
 
+import struct
 from collections.abc import Iterator
 
 import numpy as np
@@ -96,6 +97,32 @@ def dequantize_rows(packed: np.ndarray, zp: np.ndarray, sc: np.ndarray, bits: in
     return q * sc[:, None].astype(np.float64) + zp[:, None]
 
 
+HEAD = struct.Struct("<IHB")
+
+
+def to_message(x: np.ndarray, bits: int, rng: np.random.Generator | None = None, group_rows: int = 1) -> tuple[bytes, int, int]:
+    """(rows as bytes, bytes of data, bytes of parameters): a short head, then 32-bit floats or codes, zero points and scales."""
+    head = HEAD.pack(len(x), x.shape[1], bits)
+    if bits == 32:
+        data = np.ascontiguousarray(x, dtype="<f4").tobytes()
+        return head + data, len(data), 0
+    q, zp, sc = quantize_rows(x, bits, rng, group_rows)
+    params = zp[::group_rows].astype("<f4").tobytes() + sc[::group_rows].astype("<f4").tobytes()
+    return head + params + q.tobytes(), q.nbytes, len(params)
+
+
+def from_message(blob: bytes, group_rows: int = 1) -> np.ndarray:
+    """The rows as their receiver sees them."""
+    n, width, bits = HEAD.unpack_from(blob)
+    at = HEAD.size
+    if bits == 32:
+        return np.frombuffer(blob, "<f4", n * width, at).astype(np.float64).reshape(n, width)
+    groups = -(-n // group_rows)
+    zp, sc = np.frombuffer(blob, "<f4", 2 * groups, at).reshape(2, groups).repeat(group_rows, axis=1)[:, :n]
+    q = np.frombuffer(blob, np.uint8, offset=at + 8 * groups).reshape(n, -1)
+    return dequantize_rows(q, zp, sc, bits, width)
+
+
 def fused(df: DataFrame, bits: int, rounding: str = "nearest", seed: int = 0, group_rows: int = 1) -> DataFrame:
     """(id, codes, bits, zp, sc): parameters, codes and packing in one pass over Arrow batches."""
     ship(df.sparkSession)

@@ -44,8 +44,8 @@ def volumes(remote: DataFrame) -> DataFrame:
 
 
 def route_fixed(remote: DataFrame, strategy: str) -> DataFrame:
-    """Routes that need no cover: ``pre``, ``post`` or ``best_of_two`` (ties go to post)."""
-    if strategy in ("pre", "post"):
+    """Routes that need no cover: ``edge``, ``pre``, ``post`` or ``best_of_two`` (ties go to post)."""
+    if strategy in ("edge", "pre", "post"):
         return remote.withColumn("route", F.lit(strategy))
     if strategy != "best_of_two":
         raise ValueError(strategy)
@@ -60,16 +60,17 @@ def route(remote: DataFrame, cover: DataFrame) -> DataFrame:
 
 
 def shipped(routed: DataFrame) -> DataFrame:
-    """Vectors that cross per pair: distinct post sources plus distinct pre destinations."""
+    """Vectors that cross per pair: distinct post sources plus distinct pre destinations, or every edge of route ``edge``."""
     key = F.when(F.col("route") == "post", F.col("src")).otherwise(F.col("dst"))
-    return routed.select("sp", "dp", "route", key.alias("key")).distinct().groupBy("sp", "dp").agg(F.count(F.lit(1)).alias("vectors"))
+    second = F.when(F.col("route") == "edge", F.col("src"))
+    return routed.select("sp", "dp", "route", key.alias("key"), second.alias("second")).distinct().groupBy("sp", "dp").agg(F.count(F.lit(1)).alias("vectors"))
 
 
 def plan(remote: DataFrame, strategy: str = "hybrid", **options) -> DataFrame:
-    """Routed remote edges under a strategy: pre, post, best_of_two, hybrid or approx_cover.
+    """Routed remote edges under a strategy: edge, pre, post, best_of_two, hybrid or approx_cover.
 
-    Sending a vector per edge has a volume (see :func:`volumes`) but no plan: it
-    would materialize every edge's message.
+    ``edge`` sends a vector per cut edge.  It is the baseline that no reduction is
+    taken from, and materializes every edge's message: not a plan for large graphs.
     """
     if strategy == "hybrid":
         from .cover import routed_by_cover
@@ -80,12 +81,3 @@ def plan(remote: DataFrame, strategy: str = "hybrid", **options) -> DataFrame:
 
         return route(remote, greedy_cover(remote, **options))
     return route_fixed(remote, strategy)
-
-
-def materialize(spark, routed: DataFrame, local: DataFrame, prefix: str, buckets: int) -> None:
-    """Tables read every epoch: pre and local edges clustered at the sender, post edges at the receiver."""
-    from ..sources.tables import write_bucketed
-
-    write_bucketed(routed.filter("route = 'pre'").drop("route"), f"{prefix}_pre", buckets, "sp", ["sp", "dst"])
-    write_bucketed(routed.filter("route = 'post'").drop("route"), f"{prefix}_post", buckets, "dp", ["dp", "src"])
-    write_bucketed(local, f"{prefix}_local", buckets, "sp", ["sp", "dst"])

@@ -1,16 +1,25 @@
 """Synchronous full-batch training over a partitioned graph.
 
-A part of the graph is one row: its nodes' arrays and edge lists.  An epoch is
-one Spark job of ``2 L + 1`` supersteps; a superstep is one grouped pass in which
-every part absorbs the messages sent to it and sends the next ones, so between
-two supersteps there is exactly one exchange.  A message is one row per ordered
-pair of parts: raw source vectors (post) and partial sums (pre) going forward,
-and the gradients of both going back over the same cover.  Parameters are small
-and live on the driver; each part returns one row of gradients.
+A part of the graph is its nodes' arrays and edge lists.  An epoch is one Spark
+job of ``2 L + 1`` supersteps; in a superstep every part absorbs the messages
+sent to it and sends the next ones.  A message is one record per ordered pair of
+parts: raw source vectors (post) and partial sums (pre) going forward, and the
+gradients of both going back over the same cover, as the bytes of
+:func:`quantize.to_message`.  Parameters are small and live on the driver; each
+part returns one record of gradients.
+
+Only messages are exchanged.  Parts are dealt to their tasks once and persisted;
+what a part keeps from one superstep to the next (its activations) is persisted
+where it was computed.  Both meet the messages in a union of equally partitioned
+data sets, which needs no exchange.  The table API has no such step: the output
+of a grouped pass counts as unpartitioned, so a part's state would be shuffled
+with its messages at every superstep.  That is why this module, and only this
+one, works on records (RDDs) below the table of parts.
 
 Nothing is kept between epochs but the parameters (and, for the delayed
-baselines, a table of remote sums), so lineage does not grow and a lost executor
-costs at most the running epoch.
+baselines, checkpointed remote sums), so lineage does not grow and a lost
+executor costs at most the running epoch: its parts are read again from the
+table of parts.
 """
 
 from __future__ import annotations
@@ -22,17 +31,20 @@ from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
+from pyspark import RDD, StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import cut, ship
+from ..session import checkpoint_root, cut, drop, ship, traffic
 from ..sources.graphs import Graph
 from . import layers, remote
 from .propagate import shown_rows
-from .quantize import dequantize_rows, quantize_rows
+from .quantize import from_message, to_message
 
 SPLITS = ("train", "val", "test")
 COMBINE_OVER = 64
+#: Bytes of one record of a part's arrays; a part may have many.
+CHUNK = 64 << 20
 
 
 @dataclass(frozen=True)
@@ -43,11 +55,12 @@ class TrainConfig:
     epochs: int = 10
     dropout: float = 0.5
     model: str = "sage"  # sage, gcn, gin
-    route: str = "hybrid"  # pre, post, hybrid, best_of_two, approx_cover
+    route: str = "hybrid"  # edge, pre, post, hybrid, best_of_two, approx_cover
     bits: int = 32
     rounding: str = "stochastic"
     group_rows: int = 1
     adaptive: bool = False  # bits per message from the spread of its rows: 2, 4 or 8
+    adaptive_error: float = 1.0  # the step between codes that it allows, in mean absolute values
     q_forward: bool = True
     q_backward: bool = True
     layer_norm: bool = True
@@ -60,14 +73,31 @@ class TrainConfig:
     seed: int = 0
 
 
+def _home(part: int) -> int:
+    return part
+
+
 @dataclass
 class Prepared:
-    """The graph as one row per part, and its sizes."""
+    """The graph as a table of parts, and its sizes."""
 
     table: DataFrame
     parts: int
     width: int
     classes: int
+    _dealt: RDD | None = None
+
+    def dealt(self) -> RDD:
+        """The parts' records, each part in a task of its own; dealt and persisted once."""
+        if self._dealt is None:
+            rows = self.table.rdd.map(lambda r: (r.part, ("part", r.seq, bytes(r.payload))))
+            self._dealt = rows.partitionBy(self.parts, _home).persist(StorageLevel.MEMORY_AND_DISK)
+        return self._dealt
+
+    def release(self) -> None:
+        if self._dealt is not None:
+            self._dealt.unpersist()
+            self._dealt = None
 
 
 @dataclass
@@ -76,6 +106,7 @@ class Result:
     history: list[dict] = field(default_factory=list)
     sent_bytes: int = 0
     param_bytes: int = 0
+    shuffle_bytes: int = 0
 
 
 # ---------------------------------------------------------------- building the part rows
@@ -89,15 +120,17 @@ def _segments(key: np.ndarray, other: np.ndarray, w: np.ndarray) -> tuple[np.nda
     return key[first], np.flatnonzero(first), other, w
 
 
-def _build_part(table: pa.Table) -> pa.Table:
+def part_arrays(table: pa.Table) -> dict:
+    """A part's nodes (kind 0), local edges (1), edges that leave (2) and that arrive (4) as arrays."""
     part = table["part"][0].as_py()
     kind = table["kind"].to_numpy()
     pick = lambda k: table.filter(pa.array(kind == k))
     n = pick(0)
     order = np.argsort(n["a"].to_numpy(), kind="stable")
     ids = n["a"].to_numpy()[order]
-    x = np.array(n["feat"].to_pylist(), dtype=np.float64)[order] if len(ids) else np.zeros((0, 0))
-    y = np.array([-1 if v is None else v for v in n["label"].to_pylist()], dtype=np.int64)[order]
+    feat = n["feat"].combine_chunks()
+    x = np.asarray(feat.flatten(), dtype=np.float64).reshape(len(ids), -1)[order] if len(ids) else np.zeros((0, 0))
+    y = n["label"].fill_null(-1).to_numpy().astype(np.int64)[order]
     s = np.array([SPLITS.index(v) if v in SPLITS else -1 for v in n["split"].to_pylist()], dtype=np.int64)[order]
     at = lambda v: np.searchsorted(ids, v)
     deg = np.zeros(len(ids))
@@ -109,24 +142,41 @@ def _build_part(table: pa.Table) -> pa.Table:
         sent = pick(k)
         for other in np.unique(sent["other"].to_numpy()).tolist():
             t = sent.filter(pa.array(sent["other"].to_numpy() == other))
-            post = np.array(t["post"].to_pylist(), dtype=bool)
+            post = t["post"].fill_null(False).to_numpy(zero_copy_only=False).astype(bool)
             a, b, w = t["a"].to_numpy(), t["b"].to_numpy(), t["w"].to_numpy().astype(float)
-            sources, targets = np.unique(a[post]), np.unique(b[~post])
+            if t["post"].null_count:  # a row per edge, in an order that both ends know
+                order = np.lexsort((a, b))
+                a, b, w, post = a[order], b[order], w[order], np.zeros(len(a), dtype=bool)
+                sources, targets, row = a[:0], b, np.arange(len(b))
+            else:
+                sources, targets = np.unique(a[post]), np.unique(b[~post])
+                row = np.searchsorted(targets, b[~post])
             if name == "send":
-                rows = {"post": at(sources), "pre": _segments(np.searchsorted(targets, b[~post]), at(a[~post]), w[~post]), "pre_t": _segments(at(a[~post]), np.searchsorted(targets, b[~post]), w[~post]), "n_pre": len(targets)}
+                rows = {"post": at(sources), "pre": _segments(row, at(a[~post]), w[~post]), "pre_t": _segments(at(a[~post]), row, w[~post]), "n_pre": len(targets)}
             else:
                 rows = {"post": _segments(at(b[post]), np.searchsorted(sources, a[post]), w[post]), "post_t": _segments(np.searchsorted(sources, a[post]), at(b[post]), w[post]), "n_post": len(sources), "pre": at(targets)}
                 np.add.at(deg, at(b), 1)
             out[name][other] = rows
     out["deg"] = deg
-    return _row(part, "part", out)
+    return out
 
 
-ROW = "part int, kind string, payload binary"
+def _build_part(table: pa.Table) -> pa.Table:
+    out = part_arrays(table)
+    part, pieces = out["part"], chunks(out)
+    return pa.table({"part": pa.array([part] * len(pieces), pa.int32()), "seq": pa.array(range(len(pieces)), pa.int32()), "payload": pa.array(pieces, pa.binary())})
 
 
-def _row(part: int, kind: str, value) -> pa.Table:
-    return pa.table({"part": pa.array([part], pa.int32()), "kind": pa.array([kind]), "payload": pa.array([pickle.dumps(value, protocol=5)], pa.binary())})
+ROW = "part int, seq int, payload binary"
+
+
+def chunks(value) -> list[bytes]:
+    blob = pickle.dumps(value, protocol=5)
+    return [blob[i : i + CHUNK] for i in range(0, len(blob), CHUNK)]
+
+
+def joined(pieces: dict[int, bytes]):
+    return pickle.loads(b"".join(pieces[i] for i in range(len(pieces))))
 
 
 def prepare(graph: Graph, parts: DataFrame, cfg: TrainConfig, n_parts: int) -> Prepared:
@@ -143,7 +193,7 @@ def prepare(graph: Graph, parts: DataFrame, cfg: TrainConfig, n_parts: int) -> P
     nodes = graph.nodes.join(parts, "id").select("part", F.lit(0).alias("kind"), nul("int").alias("other"), F.col("id").alias("a"), nul("long").alias("b"), nul("double").alias("w"), nul("boolean").alias("post"), "feat", "label", "split")
     none = [nul("array<double>").alias("feat"), nul("int").alias("label"), nul("string").alias("split")]
     local = here.select(F.col("sp").alias("part"), F.lit(1).alias("kind"), nul("int").alias("other"), F.col("src").alias("a"), F.col("dst").alias("b"), "w", nul("boolean").alias("post"), *none)
-    both = [routed.select(F.col(me).alias("part"), F.lit(k).alias("kind"), F.col(you).alias("other"), F.col("src").alias("a"), F.col("dst").alias("b"), "w", (F.col("route") == "post").alias("post"), *none) for me, you, k in (("sp", "dp", 2), ("dp", "sp", 4))]
+    both = [routed.select(F.col(me).alias("part"), F.lit(k).alias("kind"), F.col(you).alias("other"), F.col("src").alias("a"), F.col("dst").alias("b"), "w", F.when(F.col("route") != "edge", F.col("route") == "post").alias("post"), *none) for me, you, k in (("sp", "dp", 2), ("dp", "sp", 4))]
     rows = nodes.select(columns).unionByName(local.select(columns)).unionByName(both[0].select(columns)).unionByName(both[1].select(columns))
     table = cut(spark, rows.groupBy("part").applyInArrow(_build_part, ROW), "parts")
     width = graph.nodes.agg(F.max(F.size("feat"))).first()[0]
@@ -204,16 +254,22 @@ def segment_sum(n: int, seg: tuple, x: np.ndarray, chunk: int = 1 << 18) -> np.n
 
 
 class Worker:
-    """What a part does in one epoch; it travels between supersteps with the part's row."""
+    """What a part does in one epoch; :meth:`state` is what it keeps between supersteps."""
 
     def __init__(self, part: dict, p: dict, cfg: TrainConfig, epoch: int, mode: str, cache: dict | None):
         self.d, self.p, self.cfg, self.epoch, self.mode, self.cache = part, p, cfg, epoch, mode, cache
         self.saved: list[dict] = []
         self.grads: dict[str, np.ndarray] = {}
-        self.new_cache: dict[int, np.ndarray] = {}
-        self.bytes = self.param_bytes = 0
+        self.new_cache: dict = {}
+        self.vectors = self.bytes = self.param_bytes = 0
         self.stats: dict = {}
 
+    def state(self) -> dict:
+        return {k: v for k, v in self.__dict__.items() if k not in ("d", "p", "cfg", "cache")}
+
+    def resume(self, state: dict) -> None:
+        self.__dict__.update(state)
+
     @property
     def exchanging(self) -> bool:
         return self.mode == "eval" or self.cfg.stale_lag > 0 or self.epoch % self.cfg.refresh_every == 0 or self.cache is None
@@ -232,45 +288,49 @@ class Worker:
             return np.ones(n, dtype=bool)
         return self.rng(3, layer, sp, dp).random(n) < self.cfg.boundary_rate
 
-    def pack(self, x: np.ndarray, layer: int, to: int, back: bool) -> dict:
-        n = len(x)
-        keep = self._kept(layer, to if back else self.d["part"], self.d["part"] if back else to, n)
-        x = x[keep] / (self.cfg.boundary_rate if not keep.all() else 1.0)
+    def pack(self, x: np.ndarray, layer: int, to: int, back: bool) -> bytes:
+        me = self.d["part"]
+        keep = self._kept(layer, to if back else me, me if back else to, len(x))
+        if not keep.all():
+            x = x[keep] / self.cfg.boundary_rate
+        bits = 32
         if self.cfg.bits < 32 and (self.cfg.q_backward if back else self.cfg.q_forward) and x.size:
-            rng = self.rng(5, layer, self.d["part"], to, int(back)) if self.cfg.rounding == "stochastic" else None
             bits = self.bits_for(x) if self.cfg.adaptive else self.cfg.bits
-            q, zp, sc = quantize_rows(x, bits, rng, self.cfg.group_rows)
-            self.bytes += q.nbytes
-            self.param_bytes += 8 * -(-len(x) // self.cfg.group_rows)
-            return {"n": n, "q": q, "zp": zp, "sc": sc, "width": x.shape[1], "bits": bits}
-        self.bytes += 4 * x.size
-        return {"n": n, "x": x.astype(np.float32), "width": x.shape[1]}
+        rng = self.rng(5, layer, me, to, int(back)) if bits < 32 and self.cfg.rounding == "stochastic" else None
+        blob, data, params = to_message(x, bits, rng, self.cfg.group_rows)
+        self.vectors += len(x)
+        self.bytes += data
+        self.param_bytes += params
+        return blob
 
     def bits_for(self, x: np.ndarray) -> int:
-        """Messages whose rows spread widely for their size get more bits."""
+        """The least bits whose codes are at most ``adaptive_error`` mean absolute values apart."""
         spread = float((x.max(axis=1) - x.min(axis=1)).mean() / (np.abs(x).mean() + 1e-12))
-        return 2 if spread < 3 else 4 if spread < 5 else 8
+        return next((b for b in (2, 4) if spread <= self.cfg.adaptive_error * ((1 << b) - 1)), 8)
 
-    def unpack(self, m: dict, layer: int, sender: int, back: bool) -> np.ndarray:
+    def unpack(self, blob: bytes, n: int, layer: int, sender: int, back: bool) -> np.ndarray:
         me = self.d["part"]
-        keep = self._kept(layer, me if back else sender, sender if back else me, m["n"])
-        out = np.zeros((m["n"], m["width"]))
-        out[keep] = dequantize_rows(m["q"], m["zp"], m["sc"], m["bits"], m["width"]) if "q" in m else m["x"]
+        got = from_message(blob, self.cfg.group_rows)
+        keep = self._kept(layer, me if back else sender, sender if back else me, n)
+        if keep.all():
+            return got
+        out = np.zeros((n, got.shape[1]))
+        out[keep] = got
         return out
 
-    def send(self, layer: int, h: np.ndarray) -> dict[int, dict]:
+    def send(self, layer: int, h: np.ndarray) -> dict[int, bytes]:
         if not self.exchanging:
             return {}
         return {dp: self.pack(np.vstack([h[r["post"]], segment_sum(r["n_pre"], r["pre"], h)]), layer, dp, False) for dp, r in self.d["send"].items()}
 
-    def send_back(self, layer: int, d: np.ndarray) -> dict[int, dict]:
-        if not self.exchanging or self.cfg.stale_lag > 0:
+    def send_back(self, layer: int, d: np.ndarray) -> dict[int, bytes]:
+        if not self.exchanging:
             return {}
         return {sp: self.pack(np.vstack([segment_sum(r["n_post"], r["post_t"], d), d[r["pre"]]]), layer, sp, True) for sp, r in self.d["recv"].items()}
 
     # -- forward
 
-    def begin(self) -> dict[int, dict]:
+    def begin(self) -> dict[int, bytes]:
         x = self.d["x"]
         labelled = (self.d["split"] == 0) & (self.d["y"] >= 0)
         self.show = np.zeros(len(x), dtype=bool)
@@ -281,7 +341,7 @@ class Worker:
         self.loss_rows = labelled & ~self.show
         return self.enter(0, x)
 
-    def enter(self, layer: int, h: np.ndarray) -> dict[int, dict]:
+    def enter(self, layer: int, h: np.ndarray) -> dict[int, bytes]:
         s: dict = {"h": h}
         if self.cfg.layer_norm:
             s["hn"], s["norm"] = layers.norm_rows(h, self.p[f"gain{layer}"], self.p[f"shift{layer}"]) if len(h) else (h, (h, h))
@@ -290,12 +350,12 @@ class Worker:
         self.saved.append(s)
         return self.send(layer, s["hn"])
 
-    def finish_layer(self, layer: int, inbox: dict[int, dict]) -> np.ndarray:
+    def finish_layer(self, layer: int, inbox: dict[int, bytes]) -> np.ndarray:
         s, n = self.saved[layer], len(self.d["ids"])
         far = np.zeros_like(s["hn"])
-        for sp, m in inbox.items():
-            got = self.unpack(m, layer, sp, False)
+        for sp in sorted(inbox):
             r = self.d["recv"][sp]
+            got = self.unpack(inbox[sp], r["n_post"] + len(r["pre"]), layer, sp, False)
             far += segment_sum(n, r["post"], got[: r["n_post"]])
             np.add.at(far, r["pre"], got[r["n_post"] :])
         if self.exchanging:
@@ -324,7 +384,7 @@ class Worker:
 
     # -- backward
 
-    def layer_back(self, layer: int, dz: np.ndarray) -> dict[int, dict]:
+    def layer_back(self, layer: int, dz: np.ndarray) -> dict[int, bytes]:
         s, p, g = self.saved[layer], self.p, self.grads
         g[f"bias{layer}"] = dz.sum(axis=0)
         if self.cfg.model == "sage":
@@ -339,21 +399,26 @@ class Worker:
         s["d"] = s["d"] + segment_sum(len(dagg), self.d["here_t"], dagg)
         return self.send_back(layer, dagg)
 
-    def absorb_back(self, layer: int, inbox: dict[int, dict]) -> np.ndarray:
+    def absorb_back(self, layer: int, inbox: dict[int, bytes]) -> np.ndarray:
         s = self.saved[layer]
-        d = s["d"]
-        for dp, m in inbox.items():
-            got = self.unpack(m, layer, dp, True)
+        far = np.zeros_like(s["d"])
+        for dp in sorted(inbox):
             r = self.d["send"][dp]
-            np.add.at(d, r["post"], got[: len(r["post"])])
-            d += segment_sum(len(d), r["pre_t"], got[len(r["post"]) :])
+            got = self.unpack(inbox[dp], len(r["post"]) + r["n_pre"], layer, dp, True)
+            np.add.at(far, r["post"], got[: len(r["post"])])
+            far += segment_sum(len(far), r["pre_t"], got[len(r["post"]) :])
+        if self.cfg.stale_lag > 0:  # gradients arrive an epoch late too; delayed sums are constants between exchanges
+            self.new_cache["back", layer] = far
+            if self.using_cache:
+                far = self.cache["back", layer]
+        d = s["d"] + far
         if self.cfg.layer_norm and len(d):
             d, self.grads[f"gain{layer}"], self.grads[f"shift{layer}"] = layers.norm_rows_back(d, self.p[f"gain{layer}"], s["norm"])
         return d
 
     # -- the superstep
 
-    def step(self, t: int, inbox: dict[int, dict]) -> tuple[dict[int, dict], bool]:
+    def step(self, t: int, inbox: dict[int, bytes]) -> tuple[dict[int, bytes], bool]:
         """(messages to send, is this the epoch's last superstep)."""
         n_layers = self.cfg.layers
         if t == 0:
@@ -385,128 +450,216 @@ class Worker:
             self.stats[name] = (int(ok[rows].sum()), int(rows.sum()))
 
 
-def _superstep(t: int, shared, cfg: TrainConfig, epoch: int, mode: str):
-    def run(table: pa.Table) -> pa.Table:
-        rows = list(zip(table["kind"].to_pylist(), table["payload"].to_pylist()))
-        inbox, worker, cache = {}, None, None
-        for kind, payload in rows:
-            value = pickle.loads(payload)
-            if kind == "message":
-                inbox[value["from"]] = value
-            elif kind == "cache":
-                cache = value
-            else:
-                worker = value
-        if t == 0:
-            worker = Worker(worker, None, cfg, epoch, mode, cache)
-        me = worker.d["part"]
-        worker.p = shared.value
-        out, last = worker.step(t, inbox)
-        worker.p = None
-        if not last:
-            tables = [_row(me, "part", worker)] + [_row(dp, "message", m | {"from": me}) for dp, m in out.items()]
-            return pa.concat_tables(tables)
-        done = {"grads": worker.grads, "stats": worker.stats, "bytes": worker.bytes, "param_bytes": worker.param_bytes}
-        tables = [_row(me, "result", done)]
-        if worker.new_cache and (cfg.refresh_every > 1 or cfg.stale_lag):
-            tables.append(_row(me, "cache", worker.new_cache))
-        if mode == "eval":
-            tables.append(_row(me, "pred", (worker.d["ids"], worker.pred)))
-        return pa.concat_tables(tables)
+def _superstep(t: int, shared, cfgs: list[TrainConfig], epoch: int, mode: str):
+    """Records (part, (kind, number, bytes)) of whole parts to those of the next superstep.
+
+    Kinds: part, state, cache (in chunks), message (its number is the sender and the model), result,
+    pred.  A task's input holds the last superstep's output beside what was exchanged; messages in it
+    that are on their way to other tasks are passed over.
+    """
+
+    def run(task: int, records):
+        held: dict[int, dict] = {}
+        for part, (kind, number, blob) in records:
+            if part == task:
+                held.setdefault(part, {}).setdefault(kind, {})[number] = blob
+        for part, mine in held.items():
+            static = joined(mine["part"])
+            cache = joined(mine["cache"]) if "cache" in mine and mode == "train" else {}
+            state = joined(mine["state"]) if "state" in mine else {}
+            inbox: list[dict[int, bytes]] = [{} for _ in cfgs]
+            for (sender, m), blob in mine.get("message", {}).items():
+                inbox[m][sender] = blob
+            emit = lambda kind, value: ((part, (kind, i, c)) for i, c in enumerate(chunks(value)))  # noqa: E731, B023
+            kept, done, sums, pred, last = {}, [], {}, [], False
+            for m, cfg in enumerate(cfgs):
+                worker = Worker(static, shared.value[m], cfg, epoch, mode, cache.get(m))
+                if m in state:
+                    worker.resume(state[m])
+                out, last = worker.step(t, inbox[m])
+                for to, blob in out.items():
+                    yield to, ("message", (part, m), blob)
+                if not last:
+                    kept[m] = worker.state()
+                    continue
+                done.append({"grads": worker.grads, "stats": worker.stats, "vectors": worker.vectors, "bytes": worker.bytes, "param_bytes": worker.param_bytes})
+                if cfg.refresh_every > 1 or cfg.stale_lag:
+                    sums[m] = worker.new_cache if worker.new_cache else cache.get(m)
+                if mode == "eval":
+                    pred.append(worker.pred)
+            if not last:
+                yield from emit("state", kept)
+                continue
+            yield part, ("result", 0, pickle.dumps(done))
+            if any(v is not None for v in sums.values()):
+                yield from emit("cache", sums)
+            if mode == "eval":
+                yield part, ("pred", 0, pickle.dumps((static["ids"], pred)))
 
     return run
 
 
-def _combine(table: pa.Table) -> pa.Table:
-    return _row(table["part"][0].as_py(), "result", _total([pickle.loads(x) for x in table["payload"].to_pylist()]))
+COUNTS = ("vectors", "bytes", "param_bytes")
 
 
 def _total(rows: list[dict]) -> dict:
-    out: dict = {"grads": {}, "stats": {}, "bytes": 0, "param_bytes": 0}
+    out: dict = {"grads": {}, "stats": {}} | dict.fromkeys(COUNTS, 0)
     for r in rows:
         for k, g in r["grads"].items():
             out["grads"][k] = out["grads"].get(k, 0) + g
         for k, s in r["stats"].items():
             out["stats"][k] = tuple(a + b for a, b in zip(out["stats"].get(k, (0, 0)), s)) if isinstance(s, tuple) else out["stats"].get(k, 0) + s
-        out["bytes"] += r["bytes"]
-        out["param_bytes"] += r["param_bytes"]
+        for k in COUNTS:
+            out[k] += r[k]
     return out
 
 
-def epoch_plan(prep: Prepared, params: dict, cfg: TrainConfig, epoch: int, mode: str = "train", cache: DataFrame | None = None) -> DataFrame:
-    """The epoch as one lazy plan of supersteps; its rows are results, caches and predictions."""
-    spark = prep.table.sparkSession
-    shared = spark.sparkContext.broadcast(params)  # the model's parameters: their size does not grow with the graph
-    rows = prep.table if cache is None or mode == "eval" else prep.table.unionByName(cache)
-    for t in range((cfg.layers if mode == "eval" else 2 * cfg.layers) + 1):
-        rows = rows.groupBy("part").applyInArrow(_superstep(t, shared, cfg, epoch, mode), ROW)
-    return rows
-
-
-def _gather(rows: DataFrame, parts: int) -> dict:
-    results = rows.filter("kind = 'result'")
-    if parts > COMBINE_OVER:
-        lanes = int(math.sqrt(parts)) + 1
-        results = results.withColumn("part", F.pmod("part", F.lit(lanes)).cast("int")).groupBy("part").applyInArrow(_combine, ROW)
-    return _total([pickle.loads(bytes(r.payload)) for r in results.collect()])  # a row per part, or per lane
-
-
-def fit(prep: Prepared, cfg: TrainConfig, eval_every: int = 0) -> Result:
-    """Train; history has loss and accuracy per epoch (accuracy of the training pass, with dropout)."""
-    params = init_params(cfg, prep.width, prep.classes)
-    opt = Adam(cfg.lr) if cfg.optimizer == "adam" else Sgd(cfg.lr)
-    spark, cache, out = prep.table.sparkSession, None, Result(params)
-    caching = cfg.refresh_every > 1 or cfg.stale_lag > 0
-    for epoch in range(cfg.epochs):
+def _of(kind: str, stays: bool):
+    """The records of a kind; ``stays`` when they are in their part's task already."""
+    return lambda records: records.mapPartitions(lambda it: (r for r in it if r[1][0] == kind), preservesPartitioning=stays)
+
+
+class Epoch:
+    """The supersteps of one epoch as one lazy plan over records; a context that releases what it persisted.
+
+    Several models may share the passes: they differ in parameters, seed, bits or label propagation,
+    not in the graph, its routes or the number of layers.
+    """
+
+    def __init__(self, prep: Prepared, params: list[dict], cfgs: list[TrainConfig], epoch: int, mode: str = "train", cache: RDD | None = None):
+        sc = prep.table.sparkSession.sparkContext
+        self.parts, self.kept = prep.parts, []
+        self.shared = sc.broadcast(params)  # the models' parameters: their size does not grow with the graph
+        fixed = prep.dealt() if cache is None else prep.dealt().union(cache)
+        now = fixed
+        for t in range((cfgs[0].layers if mode == "eval" else 2 * cfgs[0].layers) + 1):
+            self.out = now.mapPartitionsWithIndex(_superstep(t, self.shared, cfgs, epoch, mode), preservesPartitioning=True).persist(StorageLevel.MEMORY_AND_DISK)
+            self.kept.append(self.out)
+            # the only exchange: messages go to their receiver's task
+            now = fixed.union(self.out).union(_of("message", False)(self.out).partitionBy(self.parts, _home))
+
+    def __enter__(self) -> Epoch:
+        return self
+
+    def __exit__(self, *_) -> None:
+        for r in self.kept:
+            r.unpersist()
+        self.shared.unpersist()
+
+    def totals(self) -> list[dict]:
+        """Per model: gradients, losses and counts."""
+        results = _of("result", True)(self.out).map(lambda r: pickle.loads(r[1][2]))
+        add = lambda a, b: [_total([x, y]) for x, y in zip(a, b)]
+        if self.parts > COMBINE_OVER:  # gradients add up in a tree; the driver gets one record
+            return results.treeReduce(add)
+        return [_total(list(rows)) for rows in zip(*results.collect())]
+
+    def cache(self) -> RDD:
+        """Remote sums for later epochs, cut from this epoch's lineage."""
+        checkpoint_root(self.out.ctx)
+        rows = _of("cache", True)(self.out).persist(StorageLevel.MEMORY_AND_DISK)
+        rows.checkpoint()
+        rows.count()
+        return rows
+
+
+def epoch_total(prep: Prepared, params: dict, cfg: TrainConfig, epoch: int, mode: str = "train") -> dict:
+    """Gradients, losses and counts of one epoch without an update."""
+    with Epoch(prep, [params], [cfg], epoch, mode) as e:
+        return e.totals()[0]
+
+
+def _forget(spark: SparkSession, cache: RDD | None) -> None:
+    if cache is not None:
+        cache.unpersist()
+        drop(spark, cache.getCheckpointFile())
+
+
+def fit_many(prep: Prepared, cfgs: list[TrainConfig], eval_every: int = 0, patience: int = 0) -> list[Result]:
+    """Train several models of one graph in the same passes (a sweep of seeds or settings).
+
+    History has loss, bytes and seconds per epoch, and accuracies every ``eval_every`` epochs.
+    Counted bytes are those of vectors and parameters; ``shuffle_bytes`` are what Spark wrote for
+    the exchanges of all models together.  With ``patience``, training stops once no model's best
+    validation accuracy is younger than that many evaluations; each gets the parameters of its best.
+    """
+    if len({(c.layers, c.route, c.epochs, c.model == "gcn") for c in cfgs}) > 1:
+        raise ValueError("models that share passes have one graph, one number of layers and one of epochs")
+    params = [init_params(c, prep.width, prep.classes) for c in cfgs]
+    opts = [Adam(c.lr) if c.optimizer == "adam" else Sgd(c.lr) for c in cfgs]
+    spark, cache, out = prep.table.sparkSession, None, [Result(p) for p in params]
+    caching = any(c.refresh_every > 1 or c.stale_lag > 0 for c in cfgs)
+    prep.dealt().count()  # the parts are dealt once, before the first epoch
+    best, since = [-1.0] * len(cfgs), 0
+    for epoch in range(cfgs[0].epochs):
         began = time.time()
-        rows = epoch_plan(prep, params, cfg, epoch, "train", cache)
-        if caching:
-            rows = cut(spark, rows, "epoch")
-        total = _gather(rows, prep.parts)
-        if caching and (epoch % cfg.refresh_every == 0 or cfg.stale_lag):
-            cache = rows.filter("kind = 'cache'")
-        n = max(1, total["stats"]["loss_rows"])
-        opt.step(params, {k: g / n for k, g in total["grads"].items()})
-        out.sent_bytes += total["bytes"]
-        out.param_bytes += total["param_bytes"]
-        row = {"epoch": epoch, "loss": total["stats"]["loss"] / n, "seconds": time.time() - began, "bytes": total["bytes"], "param_bytes": total["param_bytes"]}
-        if eval_every and (epoch + 1) % eval_every == 0:
-            row |= evaluate(prep, params, cfg)
-        out.history.append(row)
+        with traffic(spark) as wire, Epoch(prep, params, cfgs, epoch, "train", cache) as e:
+            totals = e.totals()
+            if caching and any(epoch % c.refresh_every == 0 or c.stale_lag for c in cfgs):
+                before, cache = cache, e.cache()
+                _forget(spark, before)
+        took, last = time.time() - began, epoch == cfgs[0].epochs - 1
+        for m, total in enumerate(totals):
+            n = max(1, total["stats"]["loss_rows"])
+            params[m] = dict(params[m])
+            opts[m].step(params[m], {k: g / n for k, g in total["grads"].items()})
+            out[m].sent_bytes += total["bytes"]
+            out[m].param_bytes += total["param_bytes"]
+            out[m].shuffle_bytes += wire.bytes
+            out[m].history.append({"epoch": epoch, "loss": total["stats"]["loss"] / n, "seconds": took, "shuffle_bytes": wire.bytes} | {k: total[k] for k in COUNTS})
+        if eval_every and ((epoch + 1) % eval_every == 0 or last):
+            since += 1
+            for m, acc in enumerate(evaluate_many(prep, params, cfgs)):
+                out[m].history[-1] |= acc
+                if acc["val_accuracy"] > best[m]:
+                    best[m], since, out[m].params = acc["val_accuracy"], 0, params[m]
+            if patience and since >= patience:
+                break
+    if not (eval_every and patience):
+        for m, r in enumerate(out):
+            r.params = params[m]
+    _forget(spark, cache)
     return out
 
 
-def evaluate(prep: Prepared, params: dict, cfg: TrainConfig) -> dict[str, float]:
+def fit(prep: Prepared, cfg: TrainConfig, eval_every: int = 0, patience: int = 0) -> Result:
+    """Train one model; see :func:`fit_many`."""
+    return fit_many(prep, [cfg], eval_every, patience)[0]
+
+
+def evaluate_many(prep: Prepared, params: list[dict], cfgs: list[TrainConfig]) -> list[dict[str, float]]:
     """Accuracy per split: no dropout, every training label shown, none of the others."""
-    total = _gather(epoch_plan(prep, params, cfg, 0, "eval"), prep.parts)
-    return {f"{k}_accuracy": total["stats"][k][0] / max(1, total["stats"][k][1]) for k in SPLITS}
+    with Epoch(prep, params, cfgs, 0, "eval") as e:
+        return [{f"{k}_accuracy": t["stats"][k][0] / max(1, t["stats"][k][1]) for k in SPLITS} for t in e.totals()]
+
+
+def evaluate(prep: Prepared, params: dict, cfg: TrainConfig) -> dict[str, float]:
+    return evaluate_many(prep, [params], [cfg])[0]
 
 
 def predict(prep: Prepared, params: dict, cfg: TrainConfig) -> DataFrame:
     """(id, pred) of every node."""
-    rows = epoch_plan(prep, params, cfg, 0, "eval").filter("kind = 'pred'").select("payload")
+    spark = prep.table.sparkSession
 
-    def run(batches):
-        for b in batches:
-            for x in b.column(0).to_pylist():
-                ids, pred = pickle.loads(x)
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(pred.astype(np.int32))], names=["id", "pred"])
+    def rows(record):
+        ids, (pred,) = pickle.loads(record[1][2])
+        return zip(ids.tolist(), pred.tolist())
 
-    return rows.mapInArrow(run, "id long, pred int")
+    with Epoch(prep, [params], [cfg], 0, "eval") as e:
+        return cut(spark, spark.createDataFrame(_of("pred", True)(e.out).flatMap(rows), "id long, pred int"), "predictions")
 
 
 def history_frame(spark: SparkSession, result: Result) -> DataFrame:
-    rows = [(int(r["epoch"]), float(r["loss"]), float(r.get("test_accuracy", float("nan"))), int(r["bytes"]), int(r["param_bytes"])) for r in result.history]
-    return spark.createDataFrame(rows, "epoch int, loss double, test_accuracy double, sent_bytes long, param_bytes long")
-
-
-def ablation(prep: Prepared, cfg: TrainConfig, seeds: tuple[int, ...] = (0,)) -> list[dict]:
-    """Full precision and 2 bits, with and without label propagation."""
-    out = []
-    for bits in (32, 2):
-        for lp in (False, True):
-            for seed in seeds:
-                c = replace(cfg, bits=bits, lp=lp, seed=seed)
-                r = fit(prep, c)
-                out.append({"bits": bits, "lp": lp, "seed": seed, "sent_bytes": r.sent_bytes, "param_bytes": r.param_bytes} | evaluate(prep, r.params, c))
-    return out
+    rows = [(int(r["epoch"]), float(r["loss"]), float(r.get("test_accuracy", float("nan"))), int(r["bytes"]), int(r["param_bytes"]), int(r["shuffle_bytes"])) for r in result.history]
+    return spark.createDataFrame(rows, "epoch int, loss double, test_accuracy double, sent_bytes long, param_bytes long, shuffle_bytes long")
+
+
+def ablation(prep: Prepared, cfg: TrainConfig, seeds: tuple[int, ...] = (0,), eval_every: int = 0, patience: int = 0) -> list[dict]:
+    """Full precision and 2 bits, with and without label propagation, all in the same passes.
+
+    With ``patience`` the accuracies are those of each model's best evaluation on the validation split.
+    """
+    cfgs = [replace(cfg, bits=bits, lp=lp, seed=seed) for bits in (32, 2) for lp in (False, True) for seed in seeds]
+    done = fit_many(prep, cfgs, eval_every, patience)
+    final = evaluate_many(prep, [r.params for r in done], cfgs)
+    return [{"bits": c.bits, "lp": c.lp, "seed": c.seed, "sent_bytes": r.sent_bytes, "param_bytes": r.param_bytes, "epochs": len(r.history), "history": r.history} | acc for c, r, acc in zip(cfgs, done, final)]

@@ -49,8 +49,8 @@ Q["pre_only"] = _train(replace(baselines.pre_only(CFG), epochs=2))
 @query("minibatch")
 def mini(spark: SparkSession, d: str) -> DataFrame:
     g = _documents(spark, d)
-    prep = train.Prepared(g.nodes, 1, 8, 4)
-    return train.history_frame(spark, minibatch.fit(g, CFG, prep, (5, 5, 5), 64, 2))
+    prep = train.prepare(g, partition.by_mod(g.nodes, P), CFG, P)
+    return train.history_frame(spark, minibatch.fit(g, replace(CFG, epochs=1), prep, (15, 10, 5), 256, lanes=2, eval_every=1))
 
 
 @query("ablation_grid")

@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+import atexit
 import io
 import os
 import tempfile
+import time
 import uuid
 import zipfile
 
+from py4j.protocol import Py4JJavaError
+from pyspark import SparkContext
 from pyspark.sql import DataFrame, SparkSession
 
 SETTINGS = {
@@ -47,14 +51,48 @@ def ship(spark: SparkSession) -> None:
     sc._engine_shipped = True
 
 
-def work_path(spark: SparkSession, name: str) -> str:
-    """A fresh folder below the shared checkpoint folder (a local one only where none is set)."""
-    sc = spark.sparkContext
-    root = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
+_made: list[tuple[SparkSession, str]] = []
+
+
+def checkpoint_root(sc: SparkContext) -> str:
+    """The shared checkpoint folder.
+
+    A temporary folder stands in only where none is set and the driver's own threads do all work;
+    on a cluster a folder of one machine would not be seen by the others.
+    """
+    root = sc.getConf().get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not root:
+        if not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         root = tempfile.mkdtemp(prefix="fullgraph-work-")
+    if not sc.getCheckpointDir():
         sc.setCheckpointDir(root)
-    return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    return root
+
+
+def work_path(spark: SparkSession, name: str) -> str:
+    """A fresh folder below the shared checkpoint folder; removed when the driver ends."""
+    root = spark.conf.get("spark.checkpoint.dir", None) or checkpoint_root(spark.sparkContext)
+    path = f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    if not _made:
+        atexit.register(_clean)
+    _made.append((spark, path))
+    return path
+
+
+def drop(spark: SparkSession, path: str | None) -> None:
+    """Remove a folder that nothing reads any more."""
+    if path:
+        p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+
+
+def _clean() -> None:
+    for spark, path in _made:
+        try:
+            drop(spark, path)
+        except Exception:  # noqa: BLE001  the gateway may be gone at exit
+            return
 
 
 def cut(spark: SparkSession, df: DataFrame, name: str = "cut") -> DataFrame:
@@ -62,3 +100,45 @@ def cut(spark: SparkSession, df: DataFrame, name: str = "cut") -> DataFrame:
     path = work_path(spark, name)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """Deal rows over the cores where a scan has fewer tasks than them (a small table in one row group)."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
+
+
+class traffic:
+    """Shuffle bytes that the jobs inside a ``with`` block wrote, from Spark's stage metrics."""
+
+    def __init__(self, spark: SparkSession):
+        self.sc, self.tag, self.bytes = spark.sparkContext, f"traffic-{uuid.uuid4().hex}", 0
+
+    def __enter__(self) -> traffic:
+        self.sc.addJobTag(self.tag)
+        return self
+
+    def __exit__(self, kind, *_) -> None:
+        self.sc.removeJobTag(self.tag)
+        if kind is not None:
+            return
+        jsc = self.sc._jsc.sc()
+        store, stages = jsc.statusStore(), set()
+        for job in jsc.statusTracker().getJobIdsForTag(self.tag):
+            info = store.job(job)
+            deadline = time.time() + 5
+            while str(info.status()) == "RUNNING" and time.time() < deadline:  # the listener is a little behind
+                time.sleep(0.01)
+                info = store.job(job)
+            ids = info.stageIds()
+            stages |= {ids.apply(i) for i in range(ids.size())}
+        self.bytes = sum(self._written(store, s) for s in stages)
+
+    @staticmethod
+    def _written(store, stage: int) -> int:
+        try:
+            return store.lastStageAttempt(stage).shuffleWriteBytes()
+        except Py4JJavaError as gone:
+            if "No stage with id" not in str(gone):
+                raise
+            return 0  # a skipped stage, which wrote nothing; Spark keeps only so many of them

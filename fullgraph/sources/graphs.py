@@ -7,6 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..session import cut, spread
 from .tables import load
 
 SECOND = 10_000_000
@@ -87,7 +88,7 @@ def _bigram_nodes(docs: DataFrame, buckets: int, noise: float, seed: int) -> Dat
     from ..functions.vectors import mix_uniform
 
     # characters are split once per text; substrings by place would scan the text again for every pair
-    chars = docs.select("id", F.split(F.lower("text"), "").alias("c"))
+    chars = spread(docs).select("id", F.split(F.lower("text"), "").alias("c"))
     pairs = chars.filter(F.size("c") > 1).select("id", F.explode(F.transform(F.sequence(F.lit(0), F.size("c") - 2), lambda i: F.concat(F.get("c", i), F.get("c", i + 1)))).alias("g"))
     counts = pairs.select("id", F.pmod(F.crc32(F.encode("g", "UTF-8")), F.lit(buckets)).cast("int").alias("k")).groupBy("id", "k").agg(F.count(F.lit(1)).alias("c"))
     row = counts.groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("k", "c"))).alias("m"), F.sqrt(F.sum(F.col("c") * F.col("c")).cast("double")).alias("norm"))
@@ -101,10 +102,12 @@ def _bigram_nodes(docs: DataFrame, buckets: int, noise: float, seed: int) -> Dat
 def shingle_documents(spark: SparkSession, sf_dir: str, buckets: int = 64, label: str = "lang", noise: float = 0.0, seed: int = 7, n: int = 3, most: int = 10) -> Graph:
     """Documents that share a word n-gram held by 2 to ``most`` documents; label: language or quality."""
     docs = load(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), F.coalesce("text", F.lit("")).alias("text"), "lang")
-    words = docs.select("id", F.regexp_extract_all("text", F.lit(f"({WORD})"), F.lit(1)).alias("w"))
-    grams = words.filter(F.size("w") >= n).select("id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - n + 1), lambda i: F.array_join(F.slice("w", i, F.lit(n)), " ")))).alias("gram"))
+    words = spread(docs).select("id", F.regexp_extract_all("text", F.lit(f"({WORD})"), F.lit(1)).alias("w"))
+    texts = words.filter(F.size("w") >= n).select("id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - n + 1), lambda i: F.concat_ws(" ", *[F.get("w", i + (j - 1)) for j in range(n)])))).alias("g"))
+    # a gram goes on as its 128-bit digest: narrow rows, read twice below
+    grams = cut(spark, texts.select("id", F.unhex(F.md5("g")).alias("gram")), "grams")
     held = grams.groupBy("gram").agg(F.count(F.lit(1)).alias("c")).filter((F.col("c") >= 2) & (F.col("c") <= most)).select("gram")
-    kept = grams.join(held, "gram")
+    kept = cut(spark, grams.join(held, "gram"), "held-grams")
     pairs = kept.select("gram", F.col("id").alias("src")).join(kept.select("gram", F.col("id").alias("dst")), "gram").filter("src <> dst").select("src", "dst").distinct()
     if label == "lang":
         marks = docs.select("id", F.pmod(F.crc32(F.encode("lang", "UTF-8")), F.lit(1 << 30)).alias("h"))
