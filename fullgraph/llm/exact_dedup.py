@@ -9,11 +9,14 @@ expires; per digest it holds the survivor's identifier and locator and the
 number of documents seen.  Each micro-batch's changed keys go to a table in the
 shared folder; the newest version of a key is its state.
 
-Equal digests are only a hit.  The full normalised bytes under each digest are
-compared as the smallest and the largest text it holds: the two agree exactly
-when all of them do, and both combine on the map side, so a group of copies that
-holds a third of the corpus sends one text per task.  Digests that fail the
-comparison are grouped by their bytes instead.
+Equal digests are only a hit.  The full normalised bytes under each digest that was
+seen twice or more are compared as the smallest and the largest text it holds: the
+two agree exactly when all of them do, and both combine on the map side, so a group
+of copies that holds a third of the corpus sends one text per task.  Texts of digests
+seen once stay where they are: the hits' hashes are set in a bitmap of ``HIT_BITS``
+bits (its size does not grow), which is broadcast to the scan.  The bitmap may let a
+text pass that is no hit, never the reverse.  Digests that fail the comparison are
+grouped by their bytes instead.
 
 Survivor: most code points in the original text, then smallest ``doc_id``.
 Defined results: null text counts as empty; a null ``doc_id`` sorts after every
@@ -29,8 +32,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .base import WS, drop_dir, stored, work_dir
+from .base import WS, drop_dir, fresh, stored, work_dir
 
+#: Bits of the bitmap of hits: 4 MB, a row of 4 KB per 32,768 of them.
+HIT_BITS = 1 << 25
 ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 
 
@@ -42,19 +47,20 @@ def sha_key(norm: Column) -> Column:
     return F.unhex(F.sha2(F.encode(norm, "UTF-8"), 256))
 
 
-def with_locator(docs: DataFrame) -> DataFrame:
-    """Add ``_locator``: file and row where the source is files, else a row number of this plan."""
+def with_locator(docs: DataFrame, name: str = "_locator") -> DataFrame:
+    """Add the locator: file and row where the source is files, else a row number of this plan."""
     try:
-        place = F.concat_ws("#", F.col("_metadata.file_path"), F.lpad(F.col("_metadata.row_index").cast("string"), 12, "0"))
-        return docs.select("*", place.alias("_locator"))
+        meta = docs.metadataColumn("_metadata")
+        place = F.concat_ws("#", meta.getField("file_path"), F.lpad(meta.getField("row_index").cast("string"), 12, "0"))
+        return docs.select("*", place.alias(name))
     except AnalysisException:
-        return docs.select("*", F.lpad(F.monotonically_increasing_id().cast("string"), 20, "0").alias("_locator"))
+        return docs.select("*", F.lpad(F.monotonically_increasing_id().cast("string"), 20, "0").alias(name))
 
 
 def filed(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """The same rows from files: locators must name the same row in every pass."""
     try:
-        docs.select("_metadata.row_index")
+        docs.select(docs.metadataColumn("_metadata").getField("row_index"))
         return docs
     except AnalysisException:
         return stored(spark, docs, "documents")
@@ -65,8 +71,9 @@ def fingerprints(docs: DataFrame, key=sha_key) -> DataFrame:
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     norm = normal_text(text)
     extra = [] if key is sha_key else [sha_key(norm).alias("sha256")]
-    return with_locator(docs.select("doc_id", "text")).select(
-        key(norm).alias("digest"), F.col("doc_id").cast("long").alias("doc_id"), F.length(text).cast("long").alias("chars"), F.col("_locator").alias("locator"), *extra
+    own = fresh(docs, "_locator")
+    return with_locator(docs, own).select(
+        key(norm).alias("digest"), F.col("doc_id").cast("long").alias("doc_id"), F.length(text).cast("long").alias("chars"), F.col(own).alias("locator"), *extra
     )
 
 
@@ -128,7 +135,7 @@ def drain(spark: SparkSession, docs: DataFrame, key=sha_key, max_files_per_batch
     so any table works as a source and the locators stay fixed.
     """
     folder = work_dir(spark, "exact-dedup")
-    slim = fingerprints(docs, key)
+    slim = fingerprints(docs, key)  # reads doc_id and text only
     slim.write.parquet(f"{folder}/fingerprints")
     session = spark.newSession()
     session.conf.set("spark.sql.shuffle.partitions", spark.conf.get("spark.sql.shuffle.partitions"))
@@ -140,10 +147,25 @@ def drain(spark: SparkSession, docs: DataFrame, key=sha_key, max_files_per_batch
     return spark.read.schema(slim.schema).parquet(f"{folder}/fingerprints"), state
 
 
-def unequal_digests(docs: DataFrame, key=sha_key) -> DataFrame:
-    """Digests under which the full normalised texts are not all the same."""
+def _slot(digest: Column) -> Column:
+    return F.pmod(F.xxhash64(digest), F.lit(HIT_BITS)) + 1
+
+
+def hit_bitmap(hits: DataFrame) -> DataFrame:
+    """(bucket, bits): the slots of the digests as at most ``HIT_BITS / 32768`` rows of 4 KB."""
+    slot = hits.select(_slot(F.col("digest")).alias("slot"))
+    return slot.groupBy(F.bitmap_bucket_number("slot").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("slot")).alias("bits"))
+
+
+def unequal_digests(spark: SparkSession, docs: DataFrame, hits: DataFrame, key=sha_key) -> DataFrame:
+    """Digests under which the full normalised texts are not all the same; ``hits`` are those seen twice or more."""
     norm = normal_text(F.coalesce(F.col("text").cast("string"), F.lit("")))
-    bytes_under = docs.select(norm.alias("norm")).select(key(F.col("norm")).alias("digest"), "norm")
+    bitmap = stored(spark, hit_bitmap(hits), "hit-bitmap")
+    texts = docs.select(norm.alias("norm")).select(key(F.col("norm")).alias("digest"), "norm").withColumn("slot", _slot(F.col("digest")))
+    near = texts.join(F.broadcast(bitmap), F.bitmap_bucket_number(F.col("slot")) == F.col("bucket"))
+    at = F.bitmap_bit_position(F.col("slot"))
+    byte = F.conv(F.hex(F.substr("bits", F.floor(at / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    bytes_under = near.filter(F.pmod(F.floor(byte / F.pow(F.lit(2.0), F.pmod(at, F.lit(8)))), F.lit(2)) == 1)
     return bytes_under.groupBy("digest").agg(F.min("norm").alias("low"), F.max("norm").alias("high")).filter("low <> high").select("digest")
 
 
@@ -152,7 +174,7 @@ def exact_groups(spark: SparkSession, docs: DataFrame, key=sha_key, max_files_pe
     docs = filed(spark, docs)
     slim, state = drain(spark, docs, key, max_files_per_batch)
     sha = F.lower(F.hex(F.col("digest" if key is sha_key else "sha256")))
-    unequal = stored(spark, unequal_digests(docs, key), "unequal-digests")
+    unequal = stored(spark, unequal_digests(spark, docs, state.filter("seen > 1").select("digest"), key), "unequal-digests")
 
     def rows(members: DataFrame) -> DataFrame:
         return members.select(
@@ -169,7 +191,8 @@ def exact_groups(spark: SparkSession, docs: DataFrame, key=sha_key, max_files_pe
         return rows(slim.join(state, "digest"))
     by_bytes = slim.join(unequal, "digest", "left_semi")
     # Under a digest that failed, SHA-256 of the text and the text's own bytes tell the groups apart.
-    place = with_locator(docs.select("doc_id", "text")).select(F.col("_locator").alias("locator"), normal_text(F.coalesce(F.col("text").cast("string"), F.lit(""))).alias("norm"))
+    own = fresh(docs, "_locator")
+    place = with_locator(docs, own).select(F.col(own).alias("locator"), normal_text(F.coalesce(F.col("text").cast("string"), F.lit(""))).alias("norm"))
     full = by_bytes.join(place, "locator")
     regrouped = full.groupBy("digest", "norm").agg(F.min(_first()).alias("survivor"), F.count(F.lit(1)).alias("seen"))
     return rows(slim.join(unequal, "digest", "left_anti").join(state, "digest")).unionByName(rows(full.join(regrouped, ["digest", "norm"])))
@@ -178,8 +201,10 @@ def exact_groups(spark: SparkSession, docs: DataFrame, key=sha_key, max_files_pe
 def deduplicate(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` that stay, all columns."""
     docs = filed(spark, docs)
-    kept = exact_groups(spark, docs).filter("kept").select(F.col("locator").alias("_kept_locator"))
-    return with_locator(docs).join(kept, F.col("_locator") == F.col("_kept_locator"), "left_semi").drop("_locator")
+    mine = fresh(docs, "_locator")
+    other = fresh(docs, "_kept_locator")
+    kept = exact_groups(spark, docs).filter("kept").select(F.col("locator").alias(other))
+    return with_locator(docs, mine).join(kept, F.col(mine) == F.col(other), "left_semi").select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def digest(spark: SparkSession, docs: DataFrame) -> DataFrame:
