@@ -35,13 +35,15 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 def work_dir(spark: SparkSession, name: str) -> str:
     """A fresh folder below the cluster's shared checkpoint folder.
 
-    ``spark.checkpoint.dir`` is used where the session has it; only where it is
-    unset (tests, local mode) is a temporary folder made and set instead.
+    ``spark.checkpoint.dir`` is used where the session has it; where it is unset a
+    temporary folder stands in only if the driver's own threads do all work.
     Folders made here are removed when the driver ends.
     """
     sc = spark.sparkContext
     root = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not root:
+        if not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         root = tempfile.mkdtemp(prefix="corpus-work-")
         sc.setCheckpointDir(root)
     if not _made:
@@ -120,6 +122,40 @@ def ascii_lower(c: Column) -> Column:
     return F.when(F.length(c) == F.octet_length(c), F.lower(c)).otherwise(F.translate(c, UPPER, LOWER))
 
 
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that ``df`` does not have."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """Deal rows over the cores where a scan has fewer tasks than them (a small table in one row group)."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
+
+
+#: Rows of one key from which on a join deals them over ``SALTS`` tasks.
+HOT, SALTS = 20_000, 64
+
+
+def split_join(spark: SparkSession, rows: DataFrame, facts: DataFrame, keys: list[str], count: str, hot: int | None = None) -> DataFrame:
+    """``rows`` joined with ``facts`` (a row per key, with the key's number of rows in ``count``).
+
+    Keys above ``hot`` rows are few (at most the rows over ``hot``): their fact is repeated once per
+    salt, so one key's rows are dealt over many tasks.  ``count`` is not part of the result.
+    """
+    hot_keys = stored(spark, facts.filter(F.col(count) > (HOT if hot is None else hot)).select(*keys, F.lit(True).alias("_hot")), "hot-keys")
+    if hot_keys.isEmpty():
+        return rows.join(facts.drop(count), keys)
+    copies = F.sequence(F.lit(0), F.when(F.col("_hot"), SALTS - 1).otherwise(0))
+    dealt = facts.drop(count).join(hot_keys, keys, "left").select("*", F.explode(copies).alias("_salt")).drop("_hot")
+    lane = F.pmod(F.xxhash64(*rows.columns), F.lit(SALTS)).cast("int")  # by value: a task that runs again deals alike
+    salted = rows.withColumn("_lane", lane).join(hot_keys, keys, "left").withColumn("_salt", F.when(F.col("_hot"), F.col("_lane")).otherwise(0)).drop("_hot", "_lane")
+    return salted.join(dealt, [*keys, "_salt"]).drop("_salt")
+
+
 def text_of(df: DataFrame, column: str = "text") -> Column:
     """The text, null as empty."""
     return F.coalesce(df[column].cast("string"), F.lit(""))

@@ -40,7 +40,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .base import discard, ship, slices, stored
+from .base import discard, ship, slices, split_join, spread, stored
 from .shingles import RADIX, _power_table, mix
 from .suffix_array import bucket_ids
 
@@ -242,12 +242,12 @@ def _undecided(spark: SparkSession, rows: DataFrame, weight) -> tuple[DataFrame,
     ``rows`` has core, hull, the place and maybe more; ``weight`` is a row's number of occurrences.
     """
     cores = stored(spark, rows.groupBy("core").agg(F.sum(weight).alias("c"), F.min("hull").alias("low"), F.max("hull").alias("high")).filter("c > 1"), "cores")
-    many = stored(spark, rows.join(cores.select("core", (F.col("low") == F.col("high")).alias("one_hull")), "core"), "shared-cores")
+    many = stored(spark, split_join(spark, rows, cores.select("core", "c", (F.col("low") == F.col("high")).alias("one_hull")), ["core"], "c"), "shared-cores")
     discard(spark, cores)
     mixed = many.filter("not one_hull")
     place = F.struct(*PLACE, "off")
     hulls = stored(spark, mixed.groupBy("core", "hull").agg(F.sum(weight).alias("m"), F.min(place).alias("at")), "hulls")
-    again = mixed.join(hulls.filter("m > 1").select("core", "hull"), ["core", "hull"])
+    again = split_join(spark, mixed, hulls.filter("m > 1").select("core", "hull", "m"), ["core", "hull"], "m")
     whole = many.filter("one_hull").select(*PLACE).unionByName(again.select(*PLACE))
     lone = stored(spark, hulls.filter("m = 1").select("core").distinct(), "open-cores")
     return whole, stored(spark, hulls.join(lone, "core", "left_semi"), "open-hulls")
@@ -282,9 +282,12 @@ def repeated_ranges(spark: SparkSession, rows: DataFrame, length: int = LENGTH,
         parts = stored(spark, contexts.mapInArrow(_split(length, part), CONTEXT + ", hull long"), "parts")
         whole, reps = _undecided(spark, parts.drop("context"), F.col("m"))
         tables.append(whole)
-        keep = reps.select("core", "hull", F.col("m").alias("_m"), *[F.col(f"at.{c}").alias(f"_{c}") for c in PLACE])
-        same = [F.col(c).eqNullSafe(F.col(f"_{c}")) for c in PLACE]
-        contexts = stored(spark, parts.join(keep, ["core", "hull"]).filter(same[0] & same[1] & same[2] & same[3]).select("core", F.col("_m").alias("m"), *PLACE, "off", "context"), "contexts")
+        # by place, not by hull: a place is one row, a hull may be a third of them
+        keep = reps.select(F.col("core").alias("_core"), F.col("m").alias("_m"), *[F.col(f"at.{c}").alias(f"_{c}") for c in PLACE])
+        same = F.col("core") == F.col("_core")
+        for c in PLACE:
+            same = same & F.col(c).eqNullSafe(F.col(f"_{c}"))
+        contexts = stored(spark, parts.join(keep, same).select("core", F.col("_m").alias("m"), *PLACE, "off", "context"), "contexts")
     out = tables[0]
     for t in tables[1:]:
         out = out.unionByName(t)
@@ -322,7 +325,7 @@ def remove_repeats(spark: SparkSession, docs: DataFrame, length: int = LENGTH, s
     """doc_id, n_bytes, n_removed, n_spans, kept (the remaining bytes) of every row."""
     ship(spark)
     text = F.coalesce(docs["text"].cast("string"), F.lit(""))
-    rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), F.hash(text).alias("row_hash"), text.alias("text"))
+    rows = spread(docs.select(docs["doc_id"].cast("long").alias("doc_id"), F.hash(text).alias("row_hash"), text.alias("text")))
     ranges = stored(spark, repeated_ranges(spark, rows, length, span, max_group), "ranges")
     merged = ranges.groupBy(F.col("doc_id").alias("_d"), F.col("row_hash").alias("_r")).agg(F.collect_list(F.struct("lo", "hi")).alias("ranges"))
     joined = rows.join(merged.hint("shuffle_hash"), F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("row_hash") == F.col("_r")), "left")
