@@ -4,8 +4,8 @@ Training counts the n-grams (1 to 3 characters, hashed to ``BUCKETS``) of
 labelled training documents per language, on the executors, and sums them there;
 only the languages x buckets matrix reaches the driver.  The smoothed
 log-probability matrix is broadcast (languages x ``BUCKETS`` 32-bit floats; the
-number of languages is checked) and scoring gathers and sums its rows over whole
-batches of documents in numpy.
+number of languages is checked) and scoring multiplies it with the sparse matrix of
+a batch's n-gram counts (documents x buckets) in numpy, a bounded block at a time.
 
 The training sample is bounded: of the labelled training documents those with
 the smallest hashes, about ``MAX_TRAIN`` of them.  A document is a training
@@ -26,12 +26,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .base import ship, slices, unit_hash
+from .base import ship, slices, spread, unit_hash
 
 BUCKETS = 1 << 15
 ORDERS = (1, 2, 3)
 MAX_TRAIN = 20_000
 MAX_LANGUAGES = 512
+#: Numbers in a block of counts times log-probabilities.
+BLOCK = 1 << 22
 PAD = "\n\n"
 
 
@@ -70,6 +72,12 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array([lang] * len(at)), pa.array(at), pa.array(seen[at])], names=["lang", "bucket", "n"])
 
 
+def _dense(table: pa.Table) -> pa.Table:
+    out = np.zeros(BUCKETS, dtype="<i8")
+    out[table["bucket"].to_numpy()] = table["n"].to_numpy()
+    return pa.table({"lang": table["lang"].slice(0, 1), "counts": pa.array([out.tobytes()], pa.binary())})
+
+
 def train(spark: SparkSession, docs: DataFrame, max_train: int = MAX_TRAIN, alpha: float = 0.5, partitions: int = 12) -> tuple[list[str], np.ndarray]:
     """(languages, log-probability matrix of buckets x languages)."""
     ship(spark)
@@ -78,13 +86,12 @@ def train(spark: SparkSession, docs: DataFrame, max_train: int = MAX_TRAIN, alph
     share = min(1.0, max_train / max(1, total))
     sample = labelled.filter(unit_hash(docs["doc_id"], 8) < share).select(F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
     counts = sample.repartition(partitions).mapInArrow(_count, "lang string, bucket long, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n"))
-    langs = sorted(r.lang for r in counts.select("lang").distinct().limit(MAX_LANGUAGES + 1).collect()) if total else []
-    if len(langs) > MAX_LANGUAGES:
+    rows = counts.groupBy("lang").applyInArrow(_dense, "lang string, counts binary").limit(MAX_LANGUAGES + 1).collect() if total else []  # a row of BUCKETS numbers per language
+    if len(rows) > MAX_LANGUAGES:
         raise ValueError(f"more than {MAX_LANGUAGES} languages; raise MAX_LANGUAGES and BUCKETS together")
-    seen = np.zeros((BUCKETS, max(1, len(langs))), dtype=np.float64)
-    place = {x: i for i, x in enumerate(langs)}
-    for r in counts.toLocalIterator() if langs else []:
-        seen[r.bucket, place[r.lang]] = r.n
+    rows.sort(key=lambda r: r.lang)
+    langs = [r.lang for r in rows]
+    seen = np.stack([np.frombuffer(r.counts, dtype="<i8") for r in rows], axis=1).astype(np.float64) if rows else np.zeros((BUCKETS, 1))
     seen += alpha
     return langs, np.log(seen / seen.sum(axis=0)).astype(np.float32)
 
@@ -93,8 +100,16 @@ def score_texts(texts: list[str], log_prob: np.ndarray) -> np.ndarray:
     """Summed log-probability of each text (rows) in each language (columns)."""
     grams, starts = gram_buckets(texts)
     total = np.zeros((len(texts), log_prob.shape[1]), dtype=np.float64)
-    for g in grams:
-        total += np.add.reduceat(log_prob[g], starts, axis=0)
+    if not texts:
+        return total
+    owner = np.repeat(np.arange(len(texts), dtype=np.uint64), np.diff(np.append(starts, len(grams[0])))) * np.uint64(BUCKETS)
+    cell, n = np.unique(np.concatenate([owner + g for g in grams]), return_counts=True)
+    doc, bucket = (cell // np.uint64(BUCKETS)).astype(np.int64), (cell % np.uint64(BUCKETS)).astype(np.int64)
+    step = max(1, BLOCK // log_prob.shape[1])
+    for lo in range(0, len(cell), step):  # cells are in order of their document
+        part = slice(lo, lo + step)
+        first = np.flatnonzero(np.diff(doc[part], prepend=-1))
+        total[doc[part][first]] += np.add.reduceat(log_prob[bucket[part]] * n[part, None], first, axis=0)
     return total
 
 
@@ -122,7 +137,7 @@ def predict(spark: SparkSession, docs: DataFrame, model: tuple[list[str], np.nda
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(best), pa.array(score)], names=["doc_id", "held_out", "lang_pred", "score"])
 
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), held_out(docs["doc_id"]).alias("held_out"), docs["text"].cast("string").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
+    return spread(rows).mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
 
 
 def identify(spark: SparkSession, docs: DataFrame) -> DataFrame:
