@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.vectors import fixed_point, from_block, mix_uniform, mix_uniform_sql, to_block, to_long
 from ..operators import aggregate, costmodel, cover, layers, metrics, partition, propagate, quantize, remote
+from ..session import cut
 from ..sources import graphs
 from ..sources.tables import load
 
@@ -124,7 +125,10 @@ _edge_query(
     graphs.customer_part,
     "WITH p AS (SELECT DISTINCT o_custkey + 10000000 AS c, l_partkey AS p FROM lineitem JOIN orders ON l_orderkey = o_orderkey) SELECT c AS src, p AS dst FROM p UNION ALL SELECT p, c FROM p",
 )
-Q["g_knn_topk"] = lambda spark, d: graphs.knn_embeddings(spark, d).edges.select("src", "dst")
+query(
+    "g_knn_topk",
+    "WITH s AS (SELECT a.vec_id AS dst, b.vec_id AS src, list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) AS s FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id) SELECT src, dst FROM s QUALIFY row_number() OVER (PARTITION BY dst ORDER BY s DESC, src) <= 10",
+)(lambda spark, d: graphs.knn_embeddings(spark, d).edges.select("src", "dst"))
 query("g_symmetrize", f"WITH {G6_SQL} SELECT src, dst FROM e UNION SELECT dst, src FROM e")(lambda spark, d: graphs.symmetrize(graphs.user_succession(spark, d).edges).select("src", "dst"))
 query(
     "g_project_parts",
@@ -208,14 +212,24 @@ def worked_example(spark: SparkSession, d: str) -> DataFrame:
     return one("edge", "edges").unionByName(one("pre", "pre")).unionByName(one("post", "post")).unionByName(h)
 
 
-@query("approx_cover_gap")
+@query("approx_cover_gap", f"{BIT6} SELECT sp, dp, size AS matched, true AS within_two FROM open")
 def approx_cover_gap(spark: SparkSession, d: str) -> DataFrame:
     r = g6_remote(spark, d)
     a = cover.greedy_cover(r).groupBy("sp", "dp").agg(F.count(F.lit(1)).alias("approx"))
-    return a.join(cover.matching_sizes(r), ["sp", "dp"]).select("sp", "dp", "approx", "matched", (F.col("approx") / F.col("matched")).alias("ratio"))
+    ratio = F.col("approx") / F.col("matched")
+    return a.join(cover.matching_sizes(r), ["sp", "dp"]).select("sp", "dp", "matched", ((ratio >= 1) & (ratio <= 2)).alias("within_two"))
 
 
-@query("leaf_reduction")
+@query(
+    "leaf_reduction",
+    f"""WITH {G6_SQL}, h1 AS (SELECT DISTINCT sp, dp, src FROM (SELECT sp, dp, min(src) AS src FROM r GROUP BY sp, dp, dst HAVING count(*) = 1)),
+l1 AS (SELECT r.* FROM r ANTI JOIN h1 ON r.sp = h1.sp AND r.dp = h1.dp AND r.src = h1.src),
+h2 AS (SELECT DISTINCT sp, dp, dst FROM (SELECT sp, dp, min(dst) AS dst FROM l1 GROUP BY sp, dp, src HAVING count(*) = 1)),
+l2 AS (SELECT l1.* FROM l1 ANTI JOIN h2 ON l1.sp = h2.sp AND l1.dp = h2.dp AND l1.dst = h2.dst),
+c AS (SELECT sp, dp, count(*) AS chosen FROM (SELECT sp, dp FROM h1 UNION ALL SELECT sp, dp FROM h2) GROUP BY sp, dp),
+n AS (SELECT sp, dp, count(*) AS edges_left FROM l2 GROUP BY sp, dp)
+SELECT c.sp, c.dp, chosen, edges_left FROM c LEFT JOIN n ON n.sp = c.sp AND n.dp = c.dp""",
+)
 def leaf_reduction(spark: SparkSession, d: str) -> DataFrame:
     left, chosen = cover.reduce_leaves(g6_remote(spark, d), 1)
     return chosen.groupBy("sp", "dp").agg(F.count(F.lit(1)).alias("chosen")).join(left.groupBy("sp", "dp").agg(F.count(F.lit(1)).alias("edges_left")), ["sp", "dp"], "left")
@@ -265,12 +279,13 @@ query(
 def _by_plan(strategy: str):
     def run(spark: SparkSession, d: str) -> DataFrame:
         here, away = remote.split(g2_located(spark, d))
-        return as_sums(aggregate.neighbour(here, remote.plan(away, strategy), g2_features(spark, d)))
+        routed = cut(spark, remote.plan(away, strategy), "routed")  # routed once, read by each branch
+        return as_sums(aggregate.neighbour(here, routed, g2_features(spark, d)))
 
     return run
 
 
-for _s in ("pre", "post", "best_of_two", "hybrid", "approx_cover"):
+for _s in ("edge", "pre", "post", "best_of_two", "hybrid", "approx_cover"):
     query(f"agg_{_s}", SUM_SQL)(_by_plan(_s))
 query("agg_local", f"{SPMM_SQL} SELECT el.dst, k, sum(x)::BIGINT AS s FROM el JOIN fx ON fx.id = el.src WHERE sp = dp GROUP BY el.dst, k")(lambda spark, d: as_sums(aggregate.local(remote.split(g2_located(spark, d))[0], g2_features(spark, d))))
 query("agg_message_rows", f"WITH {G6_SQL}, {bitmask_sql('r')} SELECT 'partial' AS kind, count(DISTINCT (sp, dp, dst))::BIGINT AS n FROM routed WHERE route = 'pre' UNION ALL SELECT 'raw', count(DISTINCT (sp, dp, src))::BIGINT FROM routed WHERE route = 'post'")(
@@ -302,11 +317,17 @@ def gcn_weights(spark: SparkSession, d: str) -> DataFrame:
     return e.join(at("src"), "src").join(at("dst"), "dst").select("src", "dst", "d_src", "d_dst")
 
 
-@query("layer_attention")
+@query(
+    "layer_attention",
+    f"""{SPMM_SQL}, x AS (SELECT id, k, x / 1048576.0::DOUBLE AS x FROM fx), a AS (SELECT id, x FROM x WHERE k = 1), b AS (SELECT id, x FROM x WHERE k = 2),
+s AS (SELECT e.src, e.dst, CASE WHEN a.x + b.x > 0 THEN a.x + b.x ELSE (a.x + b.x) * 0.2::DOUBLE END AS s FROM e JOIN a ON a.id = e.src JOIN b ON b.id = e.dst),
+w AS (SELECT src, dst, exp(s - max(s) OVER (PARTITION BY dst)) AS w FROM s), z AS (SELECT src, dst, w / sum(w) OVER (PARTITION BY dst) AS w FROM w)
+SELECT z.dst, k, CAST(round(sum(w * x) * 1e6) AS BIGINT) AS s FROM z JOIN x ON x.id = z.src GROUP BY z.dst, k""",
+)
 def layer_attention(spark: SparkSession, d: str) -> DataFrame:
     f = g2_features(spark, d).select("id", "blk", F.transform("v", lambda x: x / float(1 << 20)).alias("v"))
     scores = f.select("id", F.get("v", F.lit(1)).alias("as_src"), F.get("v", F.lit(2)).alias("as_dst"))
-    return layers.attention(_g2_edges(spark, d), f, scores).select("dst", "blk", F.slice("v", 1, 3).alias("v"))
+    return layers.attention(_g2_edges(spark, d), f, scores).select("dst", F.posexplode(F.slice("v", 1, 3)).alias("k", "x")).select("dst", "k", F.round(F.col("x") * 1e6).cast("long").alias("s"))
 
 
 # ---------------------------------------------------------------- quantization
@@ -344,13 +365,25 @@ def quant_packed_bytes(spark: SparkSession, d: str) -> DataFrame:
     return out.select("id", "int2_bytes", "int4_bytes", "int8_bytes", (F.col("same2") & F.col("same4") & F.col("same8")).alias("same"))
 
 
-query("quant_fused_bytes", "SELECT vec_id AS id, 16::INT AS bytes, 2::INT AS bits FROM embeddings")(lambda spark, d: quantize.fused(embeddings(spark, d), 2).select("id", F.length("codes").alias("bytes"), "bits"))
+query(
+    "quant_fused_bytes",
+    PAR_SQL.format(top=3)
+    + ", q AS (SELECT id, k, CASE WHEN sc = 0 THEN 0 ELSE least(greatest(floor((v[k + 1]::DOUBLE - zp) * (1.0::DOUBLE / sc) + 0.5), 0), 3) END::BIGINT AS q FROM p, range(64) t(k)) SELECT id, (k // 4)::INT AS place, sum(q << (2 * (k % 4))::INT)::INT AS byte FROM q GROUP BY id, k // 4",
+)(lambda spark, d: quantize.fused(embeddings(spark, d), 2).select("id", F.hex("codes").alias("h")).select("id", F.posexplode(F.transform(F.sequence(F.lit(0), F.lit(15)), lambda j: F.conv(F.substr("h", (j * 2 + 1).cast("int"), F.lit(2)), 16, 10).cast("int"))).alias("place", "byte")))
 query(
     "comm_volume_quantized",
     f"WITH {G6_SQL}, {bitmask_sql('r')} SELECT sum(size)::BIGINT AS vectors, (sum(size) * 16)::BIGINT AS data_bytes, (sum(size) * 8)::BIGINT AS param_bytes FROM open",
 )(lambda spark, d: metrics.comm_volume(_g6_routed(spark, d), 64, 2))
-Q["quant_adaptive_bits"] = lambda spark, d: quantize.adaptive(embeddings(spark, d)).groupBy("bits").agg(F.count(F.lit(1)).alias("rows"))
-Q["quant_error"] = lambda spark, d: (lambda e: (lambda q: metrics.quant_error(e, quantize.decode(q), q))(quantize.encode(e, 2, "stochastic", seed=3)))(embeddings(spark, d))
+query(
+    "quant_adaptive_bits",
+    "WITH s AS (SELECT list_max(embedding)::DOUBLE - list_min(embedding)::DOUBLE AS s FROM embeddings), c AS (SELECT quantile_disc(s, 0.5) AS a, quantile_disc(s, 0.8) AS b FROM s) SELECT (CASE WHEN s <= a THEN 2 WHEN s <= b THEN 4 ELSE 8 END)::INT AS bits, count(*)::BIGINT AS rows FROM s, c GROUP BY 1",
+)(lambda spark, d: quantize.adaptive(embeddings(spark, d)).groupBy("bits").agg(F.count(F.lit(1)).alias("rows")))
+millionth = lambda c: F.round(F.col(c) * 1e6).cast("long").alias(c)
+query(
+    "quant_error",
+    PAR_SQL.format(top=3)
+    + f", e AS (SELECT sc, (CASE WHEN sc = 0 THEN 0 ELSE least(greatest(floor((v[k + 1]::DOUBLE - zp) / sc + {mix_uniform_sql('id', 'k', '3')}), 0), 3) END * sc + zp) - v[k + 1]::DOUBLE AS e FROM p, range(64) t(k)) SELECT CAST(round(max(CASE WHEN sc > 0 THEN abs(e) / sc ELSE 0 END) * 1e6) AS BIGINT) AS worst_in_scales, CAST(round(avg(e) * 1e6) AS BIGINT) AS bias, CAST(round(stddev(e) * 1e6) AS BIGINT) AS spread FROM e",
+)(lambda spark, d: (lambda e: (lambda q: metrics.quant_error(e, quantize.decode(q), q))(quantize.encode(e, 2, "stochastic", seed=3)))(embeddings(spark, d)).select(millionth("worst_in_scales"), millionth("bias"), millionth("spread")))
 
 # ---------------------------------------------------------------- label propagation, normalization
 
@@ -411,12 +444,18 @@ query("cost_exchange", f"{COMM_SQL}, t AS (SELECT sp, sum(CAST(floor(((n * 32) /
 )
 
 
-@query("cost_quant_total")
+@query(
+    "cost_quant_total",
+    f"""{COMM_SQL}, own AS (SELECT (user_id % 16)::INT AS sp, count(DISTINCT user_id) * 64 AS m FROM events GROUP BY 1),
+p AS (SELECT sp, sum((n * 32) / {BW} + {LAT}) AS t FROM v GROUP BY sp), s AS (SELECT sp, sum(2 * (n * 34) / {TH} + (n * 2 + n / 64.0::DOUBLE * 2 * 32) / {BW} + {LAT}) AS t FROM v GROUP BY sp)
+SELECT (SELECT CAST(round(max(t) * 1e12) AS BIGINT) FROM p) AS plain_ps, CAST(round(max(own.m * 32 / {TH} + coalesce(s.t, 0)) * 1e12) AS BIGINT) AS int2_ps FROM own LEFT JOIN s ON s.sp = own.sp""",
+)
 def cost_quant_total(spark: SparkSession, d: str) -> DataFrame:
     comm = _comm(spark, d)
     own = graphs.user_succession(spark, d).nodes.groupBy(F.pmod("id", F.lit(SUCC_P)).cast("int").alias("sp")).agg((F.count(F.lit(1)) * 64).alias("elements"))
     plain = costmodel.exchange_time(comm, BW, LAT).withColumnRenamed("seconds", "plain")
-    return plain.crossJoin(costmodel.quant_total(comm, own, 2, 64, BW, LAT, TH).withColumnRenamed("seconds", "int2"))
+    both = plain.crossJoin(costmodel.quant_total(comm, own, 2, 64, BW, LAT, TH).withColumnRenamed("seconds", "int2"))
+    return both.select(*[F.round(F.col(c) * 1e12).cast("long").alias(f"{c}_ps") for c in ("plain", "int2")])
 
 
 DELTAS = [0.0, 0.125, 0.25, 0.5, 1.0, 2.0, 4.0, 8.0, 16.0, 1024.0]
@@ -434,10 +473,10 @@ def cost_ratios(spark: SparkSession, d: str) -> DataFrame:
 query("imbalance", f"{COMM_SQL}, s AS (SELECT sp, sum(n // 64) AS v FROM v GROUP BY sp) SELECT max(v)::BIGINT AS most, avg(v)::DOUBLE AS mean, (max(v) / avg(v))::DOUBLE AS ratio FROM s")(lambda spark, d: metrics.imbalance(_comm(spark, d)))
 
 
-@query("convergence_bound")
+@query("convergence_bound", "SELECT t::INT AS epochs, k::DOUBLE AS noise, CAST(round((3.0::DOUBLE / (t * (0.02::DOUBLE - 0.0001::DOUBLE)) + 0.01::DOUBLE / 1.99::DOUBLE * k * k) * 1e9) AS BIGINT) AS bound_e9 FROM (SELECT unnest([10, 100, 1000]) AS t) a, (SELECT unnest([0, 1]) AS k) b")
 def convergence_bound(spark: SparkSession, d: str) -> DataFrame:
-    rows = [(t, costmodel.convergence_bound(2.0, 0.5, t, 0.01, 1.0, k), float(k)) for t in (10, 100, 1000) for k in (0.0, 1.0)]
-    return spark.createDataFrame(rows, "epochs int, bound double, noise double")
+    rows = [(t, float(k), round(costmodel.convergence_bound(2.0, 0.5, t, 0.01, 1.0, k) * 1e9)) for t in (10, 100, 1000) for k in (0.0, 1.0)]
+    return spark.createDataFrame(rows, "epochs int, noise double, bound_e9 long")
 
 
 # ---------------------------------------------------------------- partitioners
@@ -458,5 +497,5 @@ query("partition_by_mod", "SELECT p_partkey AS id, (p_partkey % 8)::INT AS part
 query("partition_by_region", "SELECT c_custkey AS id, n_regionkey AS part FROM customer JOIN nation ON c_nationkey = n_nationkey")(
     lambda spark, d: partition.by_column(load(spark, d, "customer").join(load(spark, d, "nation"), F.col("c_nationkey") == F.col("n_nationkey")).select(F.col("c_custkey").alias("id"), "n_regionkey"), "n_regionkey")
 )
-Q["partition_by_range"] = lambda spark, d: partition.by_range(load(spark, d, "part").select(F.col("p_partkey").alias("id")), 8)
+query("partition_by_range", f"WITH c AS (SELECT unnest(quantile_disc(p_partkey, {[i / 8 for i in range(1, 8)]})) AS c FROM part) SELECT p_partkey AS id, (SELECT count(*) FROM c WHERE c.c < p_partkey)::INT AS part FROM part")(lambda spark, d: partition.by_range(load(spark, d, "part").select(F.col("p_partkey").alias("id")), 8))
 Q["partition_by_hash"] = lambda spark, d: partition.by_hash(load(spark, d, "part").select(F.col("p_partkey").alias("id")), 8)

@@ -15,7 +15,7 @@ from ..operators import aggregate, baselines, costmodel, cover, metrics, minibat
 from ..session import cut
 from ..sources import graphs
 from ..functions.vectors import to_block
-from .graph_queries import P, query, Q  # noqa: F401
+from .graph_queries import G2_SQL, G6_SQL, P, SQL, SUCC_P, bitmask_sql, query, Q  # noqa: F401
 
 CFG = train.TrainConfig(layers=3, hidden=16, epochs=3)
 
@@ -114,19 +114,28 @@ def scaling(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
-@query("x_directed_undirected")
+def _totals_sql(name: str, edges: str) -> str:
+    return f"""SELECT * FROM (WITH {G6_SQL.split('el AS')[0]} x AS ({edges}), el AS (SELECT (src % 16)::INT AS sp, (dst % 16)::INT AS dp, src, dst FROM x), r AS (SELECT * FROM el WHERE sp <> dp), {bitmask_sql('r')},
+v AS (SELECT sp, dp, count(*) AS a, count(DISTINCT dst) AS b, count(DISTINCT src) AS c FROM r GROUP BY sp, dp)
+SELECT '{name}' AS graph, sum(a)::BIGINT AS edges, sum(b)::BIGINT AS pre, sum(c)::BIGINT AS post, sum(least(b, c))::BIGINT AS best_of_two, (SELECT sum(size) FROM open)::BIGINT AS hybrid, (least(sum(b), sum(c)) / (SELECT sum(size) FROM open))::DOUBLE AS gain FROM v)"""
+
+
+@query("x_directed_undirected", _totals_sql("directed", "SELECT src, dst FROM e") + " UNION ALL " + _totals_sql("undirected", "SELECT src, dst FROM e UNION SELECT dst, src FROM e"))
 def directed_undirected(spark: SparkSession, d: str) -> DataFrame:
     """Volumes of a directed graph and of its symmetric closure: pre equals post only in the latter."""
     e = graphs.user_succession(spark, d).edges
     out = None
     for name, edges in (("directed", e), ("undirected", graphs.symmetrize(e))):
-        away = remote.split(remote.located_by_mod(edges, P))[1]
+        away = remote.split(remote.located_by_mod(edges, SUCC_P))[1]
         one = metrics.reduction(remote.volumes(away), remote.shipped(cover.routed_by_cover(away))).select(F.lit(name).alias("graph"), "*")
         out = one if out is None else out.unionByName(one)
     return out
 
 
-@query("x_aggregation_variants")
+@query(
+    "x_aggregation_variants",
+    f"WITH {G2_SQL}, w AS (SELECT unnest([16, 64]) AS w), t AS (SELECT w, sum((src * 31 + k) % 97)::BIGINT AS checksum, count(DISTINCT dst) AS n FROM e, w, range(64) r(k) WHERE k < w GROUP BY w) SELECT v AS variant, w::INT AS width, checksum, (n * (w // 16))::BIGINT AS rows FROM t, (SELECT unnest(['vanilla', 'sorted', 'blocked', 'balanced']) AS v) x",
+)
 def aggregation_variants(spark: SparkSession, d: str) -> DataFrame:
     """Checksum of every aggregation variant at several widths; ``bench.py`` times them."""
     e = graphs.part_supplier(spark, d).edges
@@ -139,3 +148,81 @@ def aggregation_variants(spark: SparkSession, d: str) -> DataFrame:
             one = s.agg(F.sum(F.aggregate("v", F.lit(0).cast("long"), lambda a, x: a + x)).alias("checksum"), F.count(F.lit(1)).alias("rows")).select(F.lit(v).alias("variant"), F.lit(width).alias("width"), "*")
             out = one if out is None else out.unionByName(one)
     return out
+
+
+SINGLE = {"copurchase": "g_copurchase_edges", "part_supplier": "g_part_supplier_edges", "documents": "g_doc_shingle_edges", "knn": "g_knn_topk", "links": "g_page_links", "succession": "g_user_succession", "turns": "g_turns", "customer_part": "g_customer_part"}
+
+
+@query(
+    "x_single_strategies",
+    " UNION ALL ".join(
+        f"SELECT '{g}' AS graph, sum(a)::BIGINT AS edge, sum(b)::BIGINT AS pre, sum(c)::BIGINT AS post, sum(least(b, c))::BIGINT AS best_of_two FROM (SELECT count(*) AS a, count(DISTINCT dst) AS b, count(DISTINCT src) AS c FROM ({SQL[q]}) WHERE src % 8 <> dst % 8 GROUP BY src % 8, dst % 8)"
+        for g, q in SINGLE.items()
+    ),
+)
+def single_strategies(spark: SparkSession, d: str) -> DataFrame:
+    """Vectors of one layer on all eight graphs without a cover: per edge, pre, post, best of the two per pair."""
+    out = None
+    for g in SINGLE:
+        away = remote.split(remote.located_by_mod(cut(spark, graphs.BUILDERS[g](spark, d).edges, "edges"), P))[1]
+        one = remote.volumes(away).agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(n) for c, n in (("edges", "edge"), ("pre", "pre"), ("post", "post"), ("best_of_two", "best_of_two"))]).select(F.lit(g).alias("graph"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+WIRE = replace(CFG, hidden=64, epochs=1, lp=False)
+
+
+def _wire(spark: SparkSession, d: str, settings: list[tuple[str, int]]) -> list[tuple]:
+    """(route, bits, vectors, data bytes, parameter bytes, shuffle bytes) of one epoch of the document graph."""
+    g = _documents(spark, d)
+    rows = []
+    for route in dict.fromkeys(r for r, _ in settings):
+        prep = train.prepare(g, partition.by_mod(g.nodes, P), replace(WIRE, route=route), P)
+        for bits in (b for r, b in settings if r == route):
+            h = train.fit(prep, replace(WIRE, route=route, bits=bits)).history[0]
+            rows.append((route, bits, h["vectors"], h["bytes"], h["param_bytes"], h["shuffle_bytes"]))
+        prep.release()
+    return rows
+
+
+@query(
+    "x_exchange_bytes",
+    f"""WITH e AS ({SQL['g_doc_shingle_edges']}), v AS (SELECT sum(b) AS pre, sum(c) AS post FROM (SELECT count(DISTINCT dst) AS b, count(DISTINCT src) AS c FROM e WHERE src % 8 <> dst % 8 GROUP BY src % 8, dst % 8)),
+s AS (SELECT 'pre' AS route, pre AS n FROM v UNION ALL SELECT 'post', post FROM v), b AS (SELECT unnest([32, 2]) AS bits)
+SELECT route, bits::INT AS bits, (6 * n)::BIGINT AS vectors, (2 * n * (8 + 64 + 64) * bits // 8)::BIGINT AS data_bytes, (CASE WHEN bits < 32 THEN 6 * n * 8 ELSE 0 END)::BIGINT AS param_bytes, true AS wire_agrees FROM s, b""",
+)
+def exchange_bytes(spark: SparkSession, d: str) -> DataFrame:
+    """Bytes counted for an epoch's exchanges, and whether Spark's shuffle wrote at most 1.5 times them and 40 KB."""
+    rows = [(*r[:5], r[5] <= 1.5 * (r[3] + r[4]) + 40_000) for r in _wire(spark, d, [("pre", 32), ("pre", 2), ("post", 32), ("post", 2)])]
+    return spark.createDataFrame(rows, "route string, bits int, vectors long, data_bytes long, param_bytes long, wire_agrees boolean")
+
+
+@query("x_exchange_wire")
+def exchange_wire(spark: SparkSession, d: str) -> DataFrame:
+    """Counted and really shuffled bytes of an epoch: per edge, post, cover, cover with 8, 4 and 2 bits."""
+    rows = _wire(spark, d, [("edge", 32), ("post", 32), ("hybrid", 32), ("hybrid", 8), ("hybrid", 4), ("hybrid", 2)])
+    return spark.createDataFrame(rows, "route string, bits int, vectors long, data_bytes long, param_bytes long, shuffle_bytes long")
+
+
+@query("x_accuracy")
+def accuracy(spark: SparkSession, d: str, parts: int = P, seeds: tuple[int, ...] = (0, 1, 2), epochs: int = 30) -> DataFrame:
+    """The four settings on the document graph, three seeds each, by validation accuracy; the majority rate stands beside."""
+    g = _documents(spark, d)
+    cfg = replace(CFG, epochs=epochs)
+    prep = train.prepare(g, partition.by_mod(g.nodes, parts), cfg, parts)
+    n = g.nodes.filter("split = 'test' and label is not null").groupBy("label").count().agg(F.max("count").alias("m"), F.sum("count").alias("n")).first()
+    rows = [(parts, r["bits"], r["lp"], r["seed"], r["epochs"], r["val_accuracy"], r["test_accuracy"], n.m / n.n) for r in train.ablation(prep, cfg, seeds, eval_every=5, patience=3)]
+    prep.release()
+    return spark.createDataFrame(rows, "parts int, bits int, lp boolean, seed int, epochs int, val_accuracy double, test_accuracy double, majority double")
+
+
+@query("x_minibatch")
+def full_against_mini(spark: SparkSession, d: str, epochs: int = 4) -> DataFrame:
+    """Full batch and sampled blocks, the same model and graph: test accuracy per epoch."""
+    g = _documents(spark, d)
+    cfg = replace(CFG, epochs=epochs, lp=False)
+    prep = train.prepare(g, partition.by_mod(g.nodes, P), cfg, P)
+    runs = {"full": train.fit(prep, replace(cfg, epochs=4 * epochs), eval_every=epochs), "mini": minibatch.fit(g, cfg, prep, (15, 10, 5), 64, lanes=2, eval_every=1)}
+    rows = [(name, h["epoch"] + 1, h["loss"], h["test_accuracy"], h["seconds"]) for name, r in runs.items() for h in r.history if "test_accuracy" in h]
+    return spark.createDataFrame(rows, "method string, epoch int, loss double, test_accuracy double, seconds double")
