@@ -45,12 +45,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .base import ship, slices, stored
+from .base import fresh, ship, slices, spread, stored
 from .components import connected
 from .shingles import shingle_sets
 
 COUNTERS = 1 << 20
 PARTS = 64
+FAN_IN = 64
 TILE = 1024
 BEST = (3, None)
 
@@ -107,7 +108,7 @@ def _first_pass(k: int):
                 names=["doc_id", "n", "set_key", "part", "lane", "counts"],
             )
         if count.any():
-            lane = TaskContext.get().partitionId() % PARTS
+            lane = TaskContext.get().partitionId()
             blobs = [c.astype("<u4").tobytes() for c in np.split(count, PARTS)]
             yield pa.RecordBatch.from_arrays(
                 [pa.nulls(PARTS, pa.int64()), pa.nulls(PARTS, pa.int64()), pa.nulls(PARTS, pa.binary()), pa.array(range(PARTS), pa.int32()), pa.array([lane] * PARTS, pa.int32()), pa.array(blobs, pa.binary())],
@@ -119,18 +120,19 @@ def _first_pass(k: int):
 
 def _sum_counts(table: pa.Table) -> pa.Table:
     total = sum(np.frombuffer(b, dtype="<u4").astype(np.int64) for b in table["counts"].to_pylist())
-    return pa.table({"part": pa.array([table["part"][0].as_py()], pa.int32()), "lane": pa.array([table["lane"][0].as_py() if "lane" in table.column_names else 0], pa.int32()), "counts": pa.array([np.minimum(total, 0xFFFFFFFF).astype("<u4").tobytes()], pa.binary())})
+    return pa.table({"part": pa.array([table["part"][0].as_py()], pa.int32()), "lane": pa.array([table["lane"][0].as_py()], pa.int32()), "counts": pa.array([np.minimum(total, 0xFFFFFFFF).astype("<u4").tobytes()], pa.binary())})
 
 
 def count_table(first: DataFrame) -> np.ndarray:
     """Eight times the binary logarithm of every hashed counter (two bytes each)."""
-    schema = "part int, lane int, counts binary"
     rows = first.filter("part is not null").select("part", "lane", "counts")
-    lanes = rows.groupBy("part", "lane").applyInArrow(_sum_counts, schema)
-    parts = lanes.groupBy("part").applyInArrow(_sum_counts, schema)
+    last = rows.agg(F.max("lane")).first()[0] or 0
+    while last:  # a tree of sums: one task holds FAN_IN blobs of a part, however many tasks wrote one
+        rows = rows.withColumn("lane", F.floor(F.col("lane") / FAN_IN).cast("int")).groupBy("part", "lane").applyInArrow(_sum_counts, "part int, lane int, counts binary")
+        last //= FAN_IN
     total = np.zeros(COUNTERS, dtype=np.int64)
     size = COUNTERS // PARTS
-    for r in parts.collect():  # PARTS rows
+    for r in rows.collect():  # PARTS rows
         total[r.part * size : (r.part + 1) * size] = np.frombuffer(r.counts, dtype="<u4")
     return np.round(8 * np.log2(total + 1)).astype(np.uint16)
 
@@ -315,7 +317,7 @@ def tiles(postings: DataFrame, parts: DataFrame) -> DataFrame:
 def similar(spark: SparkSession, docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame:
     """doc_id, n_shingles, component_id of every row of ``docs``."""
     ship(spark)
-    rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"].cast("string").alias("text"))
+    rows = spread(docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"].cast("string").alias("text")))
     first = stored(spark, rows.mapInArrow(_first_pass(k), "doc_id long, n long, set_key binary, part int, lane int, counts binary"), "sets")
     shared = spark.sparkContext.broadcast(count_table(first))
     members = first.filter("part is null").select("doc_id", "n", "set_key")
@@ -348,8 +350,9 @@ def similar(spark: SparkSession, docs: DataFrame, k: int = 4, percent: int = 85)
 
 def deduplicate(spark: SparkSession, docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """The rows of ``docs`` that stay: of each component the document with the smallest id, all columns."""
-    kept = similar(spark, docs, k, percent).filter("doc_id = component_id or doc_id is null").select(F.col("doc_id").alias("_kept")).distinct()
-    return docs.join(kept, docs["doc_id"].eqNullSafe(F.col("_kept")), "left_semi")
+    own = fresh(docs, "_kept")
+    kept = similar(spark, docs, k, percent).filter("doc_id = component_id or doc_id is null").select(F.col("doc_id").alias(own)).distinct()
+    return docs.join(kept, docs["doc_id"].eqNullSafe(F.col(own)), "left_semi")
 
 
 ORACLE_SQL = r"""

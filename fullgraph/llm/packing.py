@@ -6,10 +6,11 @@ length, fills a sequence of its own without padding, and no sequence holds two
 documents.  Pieces of equal length share a bucket, from which batches of one
 shape are drawn.
 
-Ids come from a public tokenizer file whose path is a parameter.  The file's
-pre-tokenizer cuts a text into runs of letters, digits and marks; for texts of
-Latin characters the same cut is made here, and a bounded table from run to ids
-stands before the file's merge model.  Any other text takes the plain call.
+Ids come from a public tokenizer file whose path is a parameter.  Where the file
+lower-cases and cuts a text into runs of letters, digits and marks (the steps in
+``KNOWN_STEPS``; the file is compared with them), the same cut is made here for texts
+of Latin characters, and a bounded table from run to ids stands before the file's
+merge model.  Any other text, and every text under any other file, takes the plain call.
 
 Defined results: null or empty text is the end id alone (one piece of length
 1); repeated rows are packed row by row; a null ``doc_id`` is carried; extra
@@ -18,6 +19,7 @@ columns pass unread; an empty table gives an empty result.
 
 from __future__ import annotations
 
+import json
 import re
 import zlib
 from collections.abc import Iterator
@@ -27,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .base import ship, slices
+from .base import ship, slices, spread
 
 MAX_LENGTH = 2048
 END_ID = 1
@@ -42,6 +44,30 @@ _CUT = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTER}]+|[{_DIGIT}]|[^{_SPACE}{_
 #: Outside the Latin range, or a special token's mark, or a capital whose lower case leaves the range.
 _OTHER = re.compile("[\u0250-\U0010ffff\u0130]|<\\|")
 
+# What a file must say for the cut above to be its own.
+KNOWN_STEPS = {
+    "normalizer": {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}, {"type": "Lowercase"}]},
+    "pre_tokenizer": {
+        "type": "Sequence",
+        "pretokenizers": [
+            {"type": "Split", "pattern": {"Regex": "'s|'t|'re|'ve|'m|'ll|'d|[\\p{L}]+|[\\p{N}]|[^\\s\\p{L}\\p{N}]+"}, "behavior": "Removed", "invert": True},
+            {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False},
+        ],
+    },
+    "truncation": None,
+    "padding": None,
+}
+
+
+def cut_is_known(path: str) -> bool:
+    """Whether the file's own steps are those that :class:`RunTable` takes without it."""
+    with open(path, encoding="utf-8") as f:
+        told = json.load(f)
+    same = all(told.get(k) == v for k, v in KNOWN_STEPS.items())
+    # added tokens are found before the cut; texts with their mark take the plain call
+    return same and not told["model"].get("dropout") and all(t["content"].startswith("<|") for t in told.get("added_tokens", []))
+
+
 _tables: dict[str, "RunTable"] = {}
 
 
@@ -71,6 +97,7 @@ class RunTable(dict):
         self.tokenizer = Tokenizer.from_file(path)
         self.model = self.tokenizer.model
         self.letters = byte_letters()
+        self.known = cut_is_known(path)
 
     def __missing__(self, run: str) -> bytes:
         seen = run if run.isascii() else run.encode().decode("latin-1")
@@ -79,7 +106,7 @@ class RunTable(dict):
         return ids
 
     def ids(self, text: str) -> bytes:
-        if _OTHER.search(text):
+        if not self.known or _OTHER.search(text):
             return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
         if len(self) > RUNS_KEPT:
             self.clear()
@@ -132,13 +159,14 @@ def pack(spark: SparkSession, docs: DataFrame, tokenizer: str | None = None, lar
     """
     ship(spark)
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"].cast("string").alias("text"))
-    out = rows.mapInArrow(_pack(tokenizer or default_tokenizer(), largest, with_ids), SCHEMA)
+    out = spread(rows).mapInArrow(_pack(tokenizer or default_tokenizer(), largest, with_ids), SCHEMA)
     return out.select("*", F.log2("length").cast("int").alias("bucket"), F.monotonically_increasing_id().alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
 
 
-def bucketed(packed: DataFrame, salts: int = 16) -> DataFrame:
-    """Pieces laid out by bucket for batching; the hot bucket is dealt over ``salts`` partitions."""
-    return packed.repartitionByRange("bucket", F.pmod(F.xxhash64("doc_id", "start"), F.lit(salts))).sortWithinPartitions("bucket")
+def write_buckets(packed: DataFrame, path: str, salts: int = 16) -> None:
+    """Pieces below one folder per length, for batches of one shape; a length's pieces are dealt over ``salts`` tasks."""
+    dealt = packed.repartition("bucket", F.pmod(F.xxhash64("doc_id", "start"), F.lit(salts)))
+    dealt.write.mode("overwrite").partitionBy("bucket").parquet(path)
 
 
 def digest(spark: SparkSession, docs: DataFrame) -> DataFrame:

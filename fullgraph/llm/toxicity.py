@@ -36,12 +36,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .base import ship, slices, unit_hash
+from .base import ship, slices, spread, unit_hash
 
 MAX_TRAIN = 8_000
 MAX_WORDS = 256
 MIN_TEXTS = 3
-CATEGORIES = ("insult", "contempt", "toxic")
+CATEGORIES = ("weak_a", "weak_b", "toxic")
 FOLDS = 5
 _WORD = re.compile(r"[^\W\d_]+")
 
@@ -233,7 +233,7 @@ def score(spark: SparkSession, docs: DataFrame, chain: Chain, passed: list[str]
 
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"].cast("string").alias("text"), *[docs[c] for c in carried if c != "text"])
     fields = ["doc_id long", *["text string"] * ("text" in carried), *[f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in carried if c != "text"], *[f"{n} double" for n in names], "is_toxic boolean"]
-    return rows.mapInArrow(run, ", ".join(fields))
+    return spread(rows).mapInArrow(run, ", ".join(fields))
 
 
 def classify(spark: SparkSession, docs: DataFrame, labels: DataFrame) -> DataFrame:

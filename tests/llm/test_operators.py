@@ -431,7 +431,7 @@ def test_toxicity_held_out(spark):
     assert sum(r.is_toxic for r in clean) <= 0.02 * len(clean)
     toxic = [r for r in scored if r.toxic]
     assert sum(r.is_toxic for r in toxic) >= 0.8 * len(toxic)
-    assert all(0 <= p <= 1 for r in scored for p in (r.p_insult, r.p_contempt, r.p_toxic))
+    assert all(0 <= p <= 1 for r in scored for p in (r.p_weak_a, r.p_weak_b, r.p_toxic))
 
 
 def test_toxicity_odd_tables(spark, texts):
@@ -459,21 +459,68 @@ def test_chain_uses_earlier_probabilities():
     assert rng is not None
 
 
-def test_raking_meets_targets(spark):
+def brute_mixing(rows, targets, rounds=50, cap=None):
+    """Expected weight per document: raking with dictionaries."""
+    cells = collections.Counter()
+    for d in rows:
+        cells[d["key"]] += d["n"]
+    total = sum(cells.values())
+    factor = dict.fromkeys(cells, 1.0)
+    for _ in range(rounds):
+        for m in range(3):
+            have = collections.Counter()
+            for c, n in cells.items():
+                have[c[m]] += n * factor[c]
+            for c in cells:
+                if have[c[m]] > 0:
+                    factor[c] *= targets[m][c[m]] * total / have[c[m]]
+        if cap:
+            mean = sum(n * factor[c] for c, n in cells.items()) / total
+            factor = {c: min(f, cap * mean) for c, f in factor.items()}
+    return factor
+
+
+@pytest.mark.parametrize("given", [False, True])
+def test_mixing_against_brute_force_on_both_paths(spark, given):
     from fullgraph.llm import mixing
 
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
-    targets = {"lang": {"en": 0.4, "fr": 0.2, "de": 0.2, "es": 0.2}}
-    for bound in (200_000, 0):
-        rows = mixing.calibrated(spark, docs, targets=targets, max_driver_cells=bound).collect()
-        assert len(rows) == docs.count()
-        total = sum(r.n_tokens * r.probability for r in rows)
-        for lang, share in targets["lang"].items():
-            assert abs(sum(r.n_tokens * r.probability for r in rows if r.lang == lang) / total - share) < 0.06
-        assert all(0 <= r.probability <= 1 for r in rows)
-    got = sum(r.selected for r in rows)
-    want = sum(r.probability for r in rows)
-    assert abs(got - want) < 4 * np.sqrt(want)
+    lang = {"en": 0.1, "fr": 0.6, "de": 0.2, "es": 0.1}
+    targets = {"lang": lang} if given else None
+    a, b = ({(r.doc_id, r.row_hash): r for r in mixing.chances(spark, docs, targets=targets, max_driver_cells=n).collect()} for n in (200_000, 0))
+    assert a.keys() == b.keys() and len(a) == docs.count()
+    for k, r in a.items():
+        assert abs(r.probability - b[k].probability) < 1e-9 and abs(r.weight - b[k].weight) < 1e-9 * max(1, r.weight)
+    rows = [{"key": (r.source, r.lang, r.topic), "n": r.n_tokens} for r in a.values()]
+    for d, r in zip(rows, a.values()):
+        assert d["n"] >= 0 and r.selected == b[r.doc_id, r.row_hash].selected
+    want = []
+    for m in range(3):
+        part = collections.Counter()
+        for d in rows:
+            part[d["key"][m]] += d["n"]
+        part = {k: (lang[k] if given and m == 1 else v**mixing.TEMPER if v else 0.0) for k, v in part.items()}
+        want.append({k: v / sum(part.values()) for k, v in part.items()})
+    factor = brute_mixing(rows, want, cap=None if given else mixing.MAX_RATIO)
+    top = max(f for k, f in factor.items() if any(d["key"] == k and d["n"] for d in rows))
+    for d, r in zip(rows, a.values()):
+        assert abs(r.weight - factor[d["key"]]) < 1e-6 and abs(r.probability - min(1.0, factor[d["key"]] / top)) < 1e-6
+    for r in mixing.achieved(spark, docs, targets=targets).collect():
+        assert abs(r.achieved - r.target) < 0.01
+        assert not given or r.margin != "lang" or abs(r.target - lang[r.value]) < 1e-12
+    got, expected = sum(r.selected for r in a.values()), sum(r.probability for r in a.values())
+    assert abs(got - expected) < 4 * np.sqrt(expected)
+
+
+def test_mixing_reports_what_it_misses(spark):
+    from fullgraph.llm import mixing
+
+    docs = spark.createDataFrame([(i, "a b c", "x" if i else "y", "en") for i in range(40)], "doc_id long, text string, source string, lang string")
+    with pytest.warns(UserWarning, match="misses"):
+        rows = {r.value: r for r in mixing.achieved(spark, docs, targets={"source": {"x": 0.5, "y": 0.5}}, max_ratio=2.0).filter("margin = 'source'").collect()}
+    assert rows["y"].achieved < 0.2 and rows["y"].target == 0.5
+    rows = {r.value: r for r in mixing.achieved(spark, docs, targets={"source": {"x": 0.5, "y": 0.5}}).filter("margin = 'source'").collect()}
+    assert abs(rows["y"].achieved - 0.5) < 1e-9
 
 
 def test_rake_is_exact():
@@ -495,6 +542,166 @@ def test_mixing_odd_tables(spark, texts):
     assert mixing.mix(spark, table(spark, texts)).columns == table(spark, []).columns
 
 
+CLASHES = ["_locator", "_kept_locator", "_kept", "_id", "_hash", "_metadata", "_salt", "_hot", "keep_id", "probability", "selected", "row_hash", "topic", "component_id", "n_shingles", "is_toxic", "p_toxic", "weight", "seen", "key", "slot", "bits", "bucket", "norm"]
+
+
+def test_stages_carry_clashing_columns(spark, texts):
+    """The same rows stay as without the extra columns; null and repeated doc_ids, and all values, pass."""
+    from pyspark.sql import functions as F
+
+    from fullgraph.llm import exact_dedup, jaccard_join, mixing, toxicity
+
+    plain = table(spark, texts, ids=[None if i == 4 else 7 if i in (5, 6) else i for i in range(len(texts))])
+    wide = plain.select("*", *[F.concat(F.lit(c), F.coalesce(F.col("doc_id").cast("string"), F.lit("-"))).alias(c) for c in CLASHES])
+    labels = spark.createDataFrame([(i, 1, i % 2) for i in range(len(texts))], "doc_id long, quality int, toxic int")
+    stages = {
+        "exact": lambda d: exact_dedup.deduplicate(spark, d),
+        "near": lambda d: jaccard_join.deduplicate(spark, d),
+        "mixing": lambda d: mixing.mix(spark, d),
+        "toxicity": lambda d: toxicity.keep_clean(spark, d, labels),
+    }
+    for name, stage in stages.items():
+        source = wide.drop("topic") if name == "mixing" else wide
+        got = stage(source)
+        assert got.columns == source.columns, name
+        rows = got.collect()
+        assert all(r[c] == c + ("-" if r.doc_id is None else str(r.doc_id)) for r in rows for c in source.columns if c in CLASHES), name
+        key = lambda r: (r.doc_id is None, r.doc_id or 0, r.text or "", r.text is None)
+        want = stage(plain).collect()
+        if name == "exact":  # of equal rows with one id either may stay
+            assert sorted(map(key, rows)) == sorted(map(key, want)), name
+        assert len(rows) == len(want), name
+
+
+def test_scoring_operators_on_odd_tables(spark):
+    """Null and repeated doc_ids, very long texts, ties."""
+    from fullgraph.llm import langid, mixing, toxicity
+
+    rng = random.Random(12)
+    long = prose(rng, 60_000)
+    ids = [1, 1, None, 4, 5, 6]
+    df = table(spark, [prose(rng, 20), prose(rng, 20), "a b", None, long, ""], ids=ids)
+    labels = spark.createDataFrame([(1, 1, 0), (1, 1, 1), (5, 0, 0), (None, 1, 1), (6, None, None)], "doc_id long, quality int, toxic int")
+    for rows in (langid.identify(spark, df).collect(), toxicity.classify(spark, df, labels).collect(), mixing.calibrated(spark, df).collect()):
+        assert sorted(r.doc_id or -1 for r in rows) == [-1, 1, 1, 4, 5, 6]
+    mixed = mixing.calibrated(spark, df).filter("doc_id = 5").first()
+    assert mixed.n_tokens == 60_000
+    drawn = [r.selected for r in mixing.calibrated(spark, table(spark, ["a b"] * 3, ids=[9, 9, 9]).withColumn("lang", __import__("pyspark").sql.functions.lit("en")).withColumn("source", __import__("pyspark").sql.functions.lit("a"))).collect()]
+    assert len(set(drawn)) == 1  # repeated rows share one draw
+
+
+def test_language_against_brute_force(spark):
+    """The query's model and scores from plain dictionaries over the same hashed n-grams."""
+    import math
+    import zlib
+
+    from fullgraph.llm import langid
+
+    rng = random.Random(14)
+    say = {"en": "the and of with that this have".split(), "fr": "le la les des pour avec être".split(), "de": "der die das und nicht über".split()}
+    rows = [(i, " ".join(rng.choice(say[x]) for _ in range(rng.randint(1, 12))), x) for i, x in enumerate(rng.choice(sorted(say)) for _ in range(150))]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+
+    def grams(t):
+        out = collections.Counter()
+        t = langid.PAD + t.lower() + langid.PAD
+        for at in range(len(t) - 2):
+            h = 0
+            for k in range(3):
+                h = ((h ^ ord(t[at + k])) * 0x9E3779B1) & 0xFFFFFFFF
+                out[(((h ^ (h >> 15)) * 0x85EBCA6B) & 0xFFFFFFFF) >> 17] += 1
+        return out
+
+    count = {x: collections.Counter() for x in say}
+    for i, t, x in rows:
+        if zlib.crc32(str(i).encode()) % 5:
+            count[x] += grams(t)
+    total = {x: sum(c.values()) + 0.5 * langid.BUCKETS for x, c in count.items()}
+    got = {r.doc_id: r for r in langid.identify(spark, df).collect()}
+    for i, t, _ in rows:
+        s = {x: sum(n * math.log((count[x][b] + 0.5) / total[x]) for b, n in grams(t).items()) for x in say}
+        best = max(s, key=s.get)
+        top = sorted(s.values())
+        if top[-1] - top[-2] > 1e-2:
+            assert got[i].lang_pred == best
+        assert abs(got[i].score - 1 / sum(math.exp(v - s[got[i].lang_pred]) for v in s.values())) < 1e-2
+    many = langid.score_texts([t for _, t, _ in rows], np.zeros((langid.BUCKETS, 3), dtype=np.float32))
+    assert many.shape == (150, 3) and not many.any()
+
+
+def test_toxicity_against_brute_force(spark):
+    """The query's verdicts from the fitted chain, text by text with dictionaries."""
+    import math
+
+    from fullgraph.llm import toxicity
+
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "labels"))
+    chain = toxicity.train(spark, docs, labels)
+    got = {r.doc_id: r for r in toxicity.score(spark, docs, chain).collect()}
+    for r in docs.collect():
+        words = re.findall(r"[^\W\d_]+", (r.text or "").lower())
+        n = max(len(words), toxicity.FULL // 2)
+        value = []
+        for f in chain.words:
+            hits = sum(w == f for w in words) if f[-1] != "*" else sum(len(w) > len(f) - 1 and w.startswith(f[:-1]) for w in words)
+            value.append(min(1.0, hits * toxicity.FULL / n) if f[-1] == "*" else float(hits > 0))
+        p = []
+        for w in chain.weights:
+            z = sum(a * b for a, b in zip([*value, *p], w)) + w[-1]
+            p.append(1 / (1 + math.exp(-max(-40, min(40, z)))))
+        assert abs(got[r.doc_id][f"p_{chain.categories[-1]}"] - p[-1]) < 1e-9
+        assert got[r.doc_id].is_toxic == (p[-1] >= 0.5)
+
+
+def test_exact_dedup_compares_hits_only(spark):
+    from pyspark.sql import functions as F
+
+    from fullgraph.llm import exact_dedup
+
+    df = table(spark, ["a b", "ab", "c", "d", "c ", "e"])
+    hits = exact_dedup.exact_groups(spark, df).filter("group_size > 1")
+    assert hits.count() == 4
+    digests = df.select(exact_dedup.sha_key(exact_dedup.normal_text(F.col("text"))).alias("digest")).distinct()
+    plan = exact_dedup.unequal_digests(spark, df, digests)._jdf.queryExecution().toString()
+    assert "BroadcastHashJoin" in plan and "Python" not in plan and "Arrow" not in plan
+    weak = lambda norm: F.unhex(F.lit("00"))  # noqa: E731  all digests are one
+    assert exact_dedup.unequal_digests(spark, df, df.limit(1).select(weak(F.col("text")).alias("digest")), weak).count() == 1
+
+
+def test_counters_add_up_in_a_tree(spark, monkeypatch):
+    import pyarrow as pa
+
+    from fullgraph.llm import jaccard_join
+
+    rng = random.Random(15)
+    docs = table(spark, [prose(rng, 30) for _ in range(40)]).repartition(9)
+    first = docs.select("doc_id", "text").mapInArrow(jaccard_join._first_pass(4), "doc_id long, n long, set_key binary, part int, lane int, counts binary").cache()
+    want = jaccard_join.count_table(first)
+    monkeypatch.setattr(jaccard_join, "FAN_IN", 2)
+    assert (jaccard_join.count_table(first) == want).all() and want.any() and pa is not None
+
+
+def test_other_tokenizer_files_take_the_plain_call(spark, tmp_path):
+    tokenizers = pytest.importorskip("tokenizers")
+    import json
+
+    from fullgraph.llm import packing
+
+    assert packing.cut_is_known(packing.default_tokenizer())
+    told = json.load(open(packing.default_tokenizer(), encoding="utf-8"))
+    told["normalizer"] = None  # capitals stay
+    path = str(tmp_path / "other.json")
+    json.dump(told, open(path, "w", encoding="utf-8"))
+    assert not packing.cut_is_known(path)
+    text = "Some TEXT with Capitals 12"
+    want = tokenizers.Tokenizer.from_file(path).encode(text, add_special_tokens=False).ids + [1]
+    rows = sorted(packing.pack(spark, table(spark, [text]), path).collect(), key=lambda r: r.start)
+    assert np.frombuffer(b"".join(bytes(r.ids) for r in rows), dtype="<u4").tolist() == want
+    packing.write_buckets(packing.pack(spark, table(spark, [text, "a b c d e"])), str(tmp_path / "buckets"))
+    back = spark.read.parquet(str(tmp_path / "buckets"))
+    assert back.filter("length <> power(2, bucket)").count() == 0 and back.count() > 2
+
+
 def test_pipeline(spark):
     pipeline = pytest.importorskip("corpus_pipeline")
     d = "/root/testdata/sf0.001"
@@ -507,3 +714,81 @@ def test_pipeline(spark):
     assert len(set(norms)) == len(norms)
     assert len(set(brute_components([r.text for r in kept], 5, 80).values())) <= len(kept)
     assert all(c == i for i, (_, c) in brute_components([r.text for r in kept], 5, 80).items())
+
+
+# ---------------------------------------------------------------- chaining: recall
+
+
+def edited(rng, words, share, vocabulary):
+    out = []
+    for w in words:
+        r = rng.random()
+        if r >= share:
+            out.append(w)
+        elif r < share * 0.6:
+            out.append(rng.choice(vocabulary))
+        elif r < share * 0.8:
+            out += [w, rng.choice(vocabulary)]
+    return out
+
+
+def test_passage_recall_against_all_pairs(spark):
+    """Planted pairs at several edit rates, half of them with fragments of the passage in smaller documents."""
+    from fullgraph.llm import chaining
+
+    rng = random.Random(77)
+    vocabulary = [f"w{i}" for i in range(50000)]
+    text = lambda n: [rng.choice(vocabulary) for _ in range(n)]
+    fragments, pairs = [], []
+    for share in (0.03, 0.05, 0.08, 0.10):
+        for i in range(30):
+            p = text(80)
+            q = edited(rng, p, share, vocabulary)
+            if i % 2:
+                fragments += [text(15) + p[lo : lo + 30] + text(15) for lo in (0, 25, 50)]
+            pairs.append((share, p, q, text(20) + p + text(20), text(20) + q + text(20)))
+    texts = fragments + [t for x in pairs for t in x[3:]]
+    got = {(r.doc_id, r.ref_doc_id): r for r in chaining.passages(spark, table(spark, [" ".join(t) for t in texts])).collect()}
+    hits, asked = collections.Counter(), collections.Counter()
+    for n, (share, p, q, a, b) in enumerate(pairs):
+        same = chaining.common_subsequence(p, q)  # brute force: does the planted pair pass the operator's own thresholds?
+        if same < chaining.MIN_WORDS or same < chaining.MIN_SHARE * max(len(p), len(q)):
+            continue
+        asked[share] += 1
+        d = len(fragments) + 2 * n
+        hits[share] += (d + 1, d) in got and got[d + 1, d].matched >= 40
+    assert all(asked[s] >= 15 for s in asked) and all(hits[s] >= 0.9 * asked[s] for s in asked), (hits, asked)
+
+
+def test_a_long_passage_whose_fragments_come_first(spark):
+    from fullgraph.llm import chaining
+
+    rng = random.Random(78)
+    vocabulary = [f"w{i}" for i in range(50000)]
+    text = lambda n: [rng.choice(vocabulary) for _ in range(n)]
+    p = text(90)
+    small = [text(9) + p[lo : lo + 30] + text(9) for lo in (0, 15, 30, 45, 60)]
+    rows = chaining.passages(spark, table(spark, [" ".join(t) for t in [*small, text(20) + p + text(20), text(11) + p + text(7)]])).collect()
+    assert [tuple(r) for r in rows] == [(6, 5, 11, 90, 20, 90, 90)]
+
+
+def test_chaining_odd_tables(spark):
+    from fullgraph.llm import chaining
+
+    rng = random.Random(79)
+    vocabulary = [f"w{i}" for i in range(5000)]
+    p = " ".join(rng.choice(vocabulary) for _ in range(60))
+    got = chaining.passages(spark, table(spark, [p, p, p, None, "x " + p], ids=[3, 3, None, 4, 9])).collect()
+    assert [tuple(r) for r in got] == [(9, 3, 1, 60, 0, 60, 60)]
+
+
+def test_hot_stretch_is_salted(spark, monkeypatch):
+    from fullgraph.llm import chaining
+
+    rng = random.Random(80)
+    vocabulary = [f"w{i}" for i in range(5000)]
+    p = " ".join(rng.choice(vocabulary) for _ in range(50))
+    df = table(spark, [p] * 12)
+    want = {tuple(r) for r in chaining.passages(spark, df).collect()}
+    monkeypatch.setattr(chaining, "HOT", 2)
+    assert {tuple(r) for r in chaining.passages(spark, df).collect()} == want == {(i, 0, 0, 50, 0, 50, 50) for i in range(1, 12)}
