@@ -10,6 +10,8 @@ from __future__ import annotations
 import numpy as np
 
 RADIX = np.uint64(0x9E3779B97F4A7C15)
+#: Bytes of text hashed at a time: arrays of this size stay in a core's cache.
+CHUNK = 1 << 18
 _powers: dict[str, np.ndarray] = {}
 
 
@@ -18,7 +20,7 @@ def _power_table(n: int, inverse: bool) -> np.ndarray:
     table = _powers.get(name)
     if table is None or len(table) < n:
         base = np.uint64(pow(int(RADIX), -1, 1 << 64)) if inverse else RADIX
-        table = np.full(max(n, 1 << 21), base, dtype=np.uint64)
+        table = np.full(max(n, 2 * CHUNK), base, dtype=np.uint64)
         table[0] = 1
         np.multiply.accumulate(table, out=table)
         _powers[name] = table
@@ -35,6 +37,20 @@ def mix(x: np.ndarray) -> np.ndarray:
 def word_hashes(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """(hash of every word, index of each text's first word, one more at the end)."""
     raw = [t.encode("utf-8", "surrogatepass").lower() for t in texts]
+    hashes, first, n = [np.zeros(0, dtype=np.uint64)], [np.zeros(1, dtype=np.int64)], 0
+    lo = size = 0
+    for i, r in enumerate(raw):
+        size += len(r)
+        if size >= CHUNK or i + 1 == len(raw):
+            words, starts = _chunk_hashes(raw[lo : i + 1])
+            hashes.append(words)
+            first.append(starts[1:] + n)
+            n += len(words)
+            lo, size = i + 1, 0
+    return np.concatenate(hashes), np.concatenate(first)
+
+
+def _chunk_hashes(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     data = np.frombuffer(b"\n" + b"\n".join(raw) + b"\n", dtype=np.uint8)
     ends_of = np.cumsum(np.fromiter((len(r) + 1 for r in raw), dtype=np.int64, count=len(raw)))
     white = (data == 32) | ((data >= 9) & (data <= 13))
