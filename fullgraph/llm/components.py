@@ -5,7 +5,8 @@ node on the smallest node around it.  Both are an aggregate that combines on the
 map side and a join with one row per node on one side, so a node that touches a
 third of all edges does not gather them in one task.  The number of rounds grows
 with the logarithm of the number of nodes.  Rounds end with a table in the shared
-folder; only a count and a checksum of the edges reach the driver.
+folder, in a file per ``EDGES`` edges; only a count and a checksum of the edges reach
+the driver.
 """
 
 from __future__ import annotations
@@ -16,6 +17,8 @@ from pyspark.sql import functions as F
 from .base import stored
 
 MAX_ROUNDS = 60
+#: Edges of a task, and of a file, between two rounds.
+EDGES = 200_000
 
 
 def _mark(edges: DataFrame) -> tuple[int, int]:
@@ -27,6 +30,7 @@ def connected(spark: SparkSession, edges: DataFrame) -> DataFrame:
     """(node, component) for every node of ``edges`` (columns a, b); component is the smallest node."""
     now = stored(spark, edges.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
     mark = _mark(now)
+    few = lambda rows: rows.coalesce(max(1, -(-mark[0] // EDGES)))  # noqa: E731  no round has more edges than the one before, but for one per node
     for _ in range(MAX_ROUNDS):
         if not mark[0]:
             break
@@ -36,11 +40,11 @@ def connected(spark: SparkSession, edges: DataFrame) -> DataFrame:
         down = large.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
         least = down.groupBy("a").agg(F.min("b").alias("m"))
         small = down.join(least, "a").select(F.greatest("b", "m").alias("a"), F.least("b", "m").alias("b")).unionByName(least.select("a", F.col("m").alias("b")))
-        now = stored(spark, small.filter("a <> b").distinct(), "edges")
+        now = stored(spark, few(small.filter("a <> b").distinct()), "edges")
         before, mark = mark, _mark(now)
         if mark == before:
             break
     else:
         raise RuntimeError("components did not settle")
     roots = now.select(F.col("b").alias("node")).distinct().select("node", F.col("node").alias("component"))
-    return now.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(roots)
+    return few(now.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(roots))
