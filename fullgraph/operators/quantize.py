@@ -29,14 +29,19 @@ def params(df: DataFrame, bits: int, group_rows: int = 1, v: str = "v", id_: str
     return df.select("*", lo.alias("zp"), ((hi - lo) / F.lit(float(2**bits - 1))).alias("sc"))
 
 
+def bound(value: Column, body) -> Column:
+    """``body`` of a value that is computed once a row, also where projections are merged into one."""
+    return F.transform(F.array(value), body).getItem(0)
+
+
 def codes(v: Column, zp: Column, sc: Column, bits: int, rounding: str = "nearest", id_: Column | None = None, seed: int = 0, reciprocal: bool = False) -> Column:
     """Codes of a vector's elements; a scale of zero gives code zero."""
-    def one(x: Column, k: Column) -> Column:
+    def one(x: Column, k: Column, zp: Column, sc: Column) -> Column:
         t = (x.cast("double") - zp) * (1.0 / sc) if reciprocal else (x.cast("double") - zp) / sc
         up = F.lit(0.5) if rounding == "nearest" else mix_uniform(id_, k, seed)
         return F.when(sc == 0, 0).otherwise(F.least(F.greatest(F.floor(t + up), F.lit(0)), F.lit(2**bits - 1))).cast("int")
 
-    return F.transform(v, one)
+    return bound(F.struct(zp.alias("zp"), sc.alias("sc")), lambda p: F.transform(v, lambda x, k: one(x, k, p["zp"], p["sc"])))
 
 
 def encode(df: DataFrame, bits: int, rounding: str = "nearest", seed: int = 0, group_rows: int = 1, reciprocal: bool = False) -> DataFrame:
@@ -52,19 +57,26 @@ def decode(df: DataFrame) -> DataFrame:
 def pack(q: Column, bits: int) -> Column:
     """Codes as bytes, ``8 / bits`` per byte, first code lowest."""
     per = 8 // bits
-    n = F.ceil(F.size(q) / F.lit(per)).cast("int")
-    code = lambda b, j: F.coalesce(F.get(q, b * per + j), F.lit(0))
-    byte = lambda b: sum((F.shiftleft(code(b, j), j * bits) for j in range(per)), F.lit(0))
-    hexed = F.transform(F.sequence(F.lit(0), n - 1), lambda b: F.lpad(F.hex(byte(b)), 2, "0"))
-    return F.unhex(F.array_join(hexed, ""))
+
+    def packed(q: Column) -> Column:
+        n = F.ceil(F.size(q) / F.lit(per)).cast("int")
+        code = lambda b, j: F.coalesce(F.get(q, b * per + j), F.lit(0))
+        byte = lambda b: sum((F.shiftleft(code(b, j), j * bits) for j in range(per)), F.lit(0))
+        hexed = F.transform(F.sequence(F.lit(0), n - 1), lambda b: F.lpad(F.hex(byte(b)), 2, "0"))
+        return F.unhex(F.array_join(hexed, ""))
+
+    return bound(q, packed)
 
 
 def unpack(codes_: Column, bits: int, size: Column | int) -> Column:
     per = 8 // bits
     n = F.lit(size) if isinstance(size, int) else size
-    text = F.hex(codes_)
-    byte = lambda k: F.conv(F.substr(text, (F.floor(k / per) * 2 + 1).cast("int"), F.lit(2)), 16, 10).cast("int")
-    return F.transform(F.sequence(F.lit(0), n - 1), lambda k: F.pmod(F.floor(byte(k) / F.pow(F.lit(2.0), F.pmod(k, F.lit(per)) * bits)), F.lit(2**bits)).cast("int"))
+
+    def unpacked(text: Column) -> Column:
+        byte = lambda k: F.conv(F.substr(text, (F.floor(k / per) * 2 + 1).cast("int"), F.lit(2)), 16, 10).cast("int")
+        return F.transform(F.sequence(F.lit(0), n - 1), lambda k: F.pmod(F.floor(byte(k) / F.pow(F.lit(2.0), F.pmod(k, F.lit(per)) * bits)), F.lit(2**bits)).cast("int"))
+
+    return bound(F.hex(codes_), unpacked)
 
 
 # ---------------------------------------------------------------- numpy kernels (fused pass, training)
@@ -160,7 +172,7 @@ def through(bits: int, rounding: str = "nearest", seed: int = 0):
         k = F.xxhash64("sp", "dp", "kind", "key", "blk")
         q = codes(F.col("v"), F.col("zp"), F.col("sc"), bits, rounding, F.pmod(k, F.lit(1 << 30)), seed)
         coded = p.select("sp", "dp", "kind", "key", "blk", pack(q, bits).alias("codes"), F.size("v").alias("size"), "zp", "sc", "n")
-        back = F.transform(unpack(F.col("codes"), bits, F.col("size")), lambda c: c * F.col("sc") + F.col("zp"))
+        back = bound(F.struct("zp", "sc"), lambda p: F.transform(unpack(F.col("codes"), bits, F.col("size")), lambda c: c * p["sc"] + p["zp"]))
         return coded.select("sp", "dp", "kind", "key", "blk", back.alias("v"), "n")
 
     return run

@@ -6,14 +6,16 @@ checked by tests of the parts (gradients, invariants), not by SQL.
 
 from __future__ import annotations
 
+import time
 from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators import aggregate, baselines, costmodel, cover, metrics, minibatch, partition, remote, train
-from ..session import cut
+from ..operators import aggregate, baselines, costmodel, cover, metrics, minibatch, partition, quantize, remote, train
+from ..session import cut, traffic
 from ..sources import graphs
+from ..sources.tables import drain
 from ..functions.vectors import to_block
 from .graph_queries import G2_SQL, G6_SQL, P, SQL, SUCC_P, bitmask_sql, query, Q  # noqa: F401
 
@@ -226,3 +228,102 @@ def full_against_mini(spark: SparkSession, d: str, epochs: int = 4) -> DataFrame
     runs = {"full": train.fit(prep, replace(cfg, epochs=4 * epochs), eval_every=epochs), "mini": minibatch.fit(g, cfg, prep, (15, 10, 5), 64, lanes=2, eval_every=1)}
     rows = [(name, h["epoch"] + 1, h["loss"], h["test_accuracy"], h["seconds"]) for name, r in runs.items() for h in r.history if "test_accuracy" in h]
     return spark.createDataFrame(rows, "method string, epoch int, loss double, test_accuracy double, seconds double")
+
+
+def _vectors(edges: DataFrame, width: int) -> DataFrame:
+    """A vector of floats that do not compress for every source, in blocks."""
+    ids = edges.select(F.col("src").alias("id")).distinct()
+    return to_block(ids.select("id", F.transform(F.sequence(F.lit(0), F.lit(width - 1)), lambda k: F.sin(F.col("id") * 31 + k).cast("float")).alias("v")))
+
+
+def _exchanged(spark: SparkSession, sent: DataFrame, bits: int, parts: int) -> tuple[float, traffic]:
+    """Wall seconds and stage metrics of moving messages to their receivers; codes and two numbers a row below 32 bits."""
+    if bits < 32:
+        rows = quantize.params(sent, bits, id_="key")
+        q = quantize.codes(F.col("v"), F.col("zp"), F.col("sc"), bits, id_=F.col("key"))
+        sent = rows.select("sp", "dp", "key", "blk", quantize.pack(q, bits).alias("codes"), F.col("zp").cast("float"), F.col("sc").cast("float"))
+    else:
+        sent = sent.select("sp", "dp", "key", "blk", F.col("v").cast("array<float>"))
+    began = time.time()
+    with traffic(spark) as wire:
+        drain(sent.repartition(parts, "dp"))
+    return time.time() - began, wire
+
+
+@query("x_exchange_time")
+def exchange_time_measured(spark: SparkSession, d: str, names: tuple[str, ...] = tuple(graphs.BUILDERS), width: int = 64) -> DataFrame:
+    """Measured exchange of one layer on every graph and strategy: vectors, shuffled bytes, wall and shuffle times."""
+    rows = []
+    for name in names:
+        edges = cut(spark, graphs.BUILDERS[name](spark, d).edges, "edges")
+        away = cut(spark, remote.split(remote.located_by_mod(edges, P))[1], "remote")
+        f = cut(spark, _vectors(edges, width), "vectors")
+        for strategy in ("edge", "pre", "post", "best_of_two", "hybrid"):
+            routed = cut(spark, remote.plan(away, strategy), "routed")
+            sent = cut(spark, aggregate.messages(routed, f), "messages")
+            vectors = remote.shipped(routed).agg(F.coalesce(F.sum("vectors"), F.lit(0)).alias("n")).first().n
+            for bits in (32, 8, 4, 2) if strategy == "hybrid" else (32,):
+                seconds, wire = _exchanged(spark, sent, bits, P)
+                rows.append((name, strategy, bits, vectors, wire.bytes, seconds * 1000, wire.write_ms, wire.wait_ms))
+    return spark.createDataFrame(rows, "graph string, strategy string, bits int, vectors long, shuffle_bytes long, wall_ms double, write_ms double, wait_ms double")
+
+
+@query("x_breakdown")
+def breakdown(spark: SparkSession, d: str, cases: tuple[tuple[str, int], ...] = (("documents", 4), ("customer_part", 32)), width: int = 64) -> DataFrame:
+    """Seconds of a layer's steps, base against optimized: every step runs by itself, so nothing overlaps.
+
+    Synchronization is the part of the exchange in which an average sender has ended and waits for
+    the busiest one, by the vectors that they send; ``other`` is what the whole layer takes beyond the steps.
+    """
+    rows = []
+    for name, parts in cases:
+        g = graphs.BUILDERS[name](spark, d)
+        edges = cut(spark, g.edges, "edges")
+        here, away = (cut(spark, e, "split") for e in remote.split(remote.located_by_mod(edges, parts)))
+        f = cut(spark, _vectors(edges, width), "vectors")
+        for setting, strategy, bits, variant in (("base", "post", 32, "vanilla"), ("optimized", "hybrid", 2, "blocked")):
+            routed = cut(spark, remote.plan(away, strategy), "routed")
+            sent = cut(spark, aggregate.messages(routed, f), "messages")
+            through = quantize.through(bits) if bits < 32 else None
+
+            def timed(df: DataFrame) -> float:
+                began = time.time()
+                drain(df)
+                return time.time() - began
+
+            local = timed(aggregate.local(here, f, variant=variant))
+            exchange, _ = _exchanged(spark, sent, bits, parts)
+            codec = timed(through(sent)) if through else 0.0
+            ratio = metrics.imbalance(remote.shipped(routed)).first().ratio or 1.0
+            waits = exchange * (1 - 1 / ratio)
+            whole = timed(aggregate.neighbour(here, routed, f, through=through))
+            rows.append((name, parts, setting, local, exchange - waits, codec, waits, max(0.0, whole - local - exchange - codec), whole))
+    return spark.createDataFrame(rows, "graph string, parts int, setting string, aggregation double, communication double, quantization double, synchronization double, other double, layer double")
+
+
+@query("x_scaling_delayed")
+def scaling_delayed(spark: SparkSession, d: str, names: tuple[str, ...] = ("copurchase", "part_supplier", "documents", "succession"), sizes: tuple[int, ...] = (4, 16), every: int = 5) -> DataFrame:
+    """Epoch time and bytes as parts grow: delayed exchange, plain exchange, everything on.
+
+    Two epochs run.  A delayed epoch is the mean of one that exchanges and ``every`` - 1 like the next one, which does not.
+    ``speedup`` is over the fewest parts, ``against_delayed`` over the delayed method on as many parts.
+    """
+    base = replace(CFG, epochs=2)
+    rows = []
+    for name in names:
+        g = graphs.BUILDERS[name](spark, d)
+        g = graphs.Graph(cut(spark, g.nodes.na.fill({"label": 0}), "nodes"), cut(spark, g.edges, "edges"))
+        first: dict[str, float] = {}
+        for parts in sizes:
+            took = {}
+            for cfgs in ({"delayed": baselines.delayed(base, every), "plain": baselines.plain(base)}, {"complete": baselines.complete(base)}):
+                prep = train.prepare(g, partition.by_mod(g.nodes, parts), next(iter(cfgs.values())), parts)
+                for method, cfg in cfgs.items():
+                    h = train.fit(prep, cfg).history
+                    share = (1 / every, 1 - 1 / every) if method == "delayed" else (0.0, 1.0)  # the second epoch runs warm
+                    seconds, sent, wire = (sum(s * e[c] for s, e in zip(share, h)) for c in ("seconds", "bytes", "shuffle_bytes"))
+                    took[method] = seconds
+                    first.setdefault(method, seconds)
+                    rows.append((name, parts, method, seconds, sent, wire, first[method] / seconds, took["delayed"] / seconds))
+                prep.release()
+    return spark.createDataFrame(rows, "graph string, parts int, method string, epoch_seconds double, bytes double, shuffle_bytes double, speedup double, against_delayed double")

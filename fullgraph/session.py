@@ -109,10 +109,14 @@ def spread(df: DataFrame) -> DataFrame:
 
 
 class traffic:
-    """Shuffle bytes that the jobs inside a ``with`` block wrote, from Spark's stage metrics."""
+    """Shuffle bytes that the jobs inside a ``with`` block wrote, from Spark's stage metrics.
+
+    ``write_ms`` and ``wait_ms`` are the tasks' times to write shuffle files and to wait for fetched ones.
+    """
 
     def __init__(self, spark: SparkSession):
         self.sc, self.tag, self.bytes = spark.sparkContext, f"traffic-{uuid.uuid4().hex}", 0
+        self.write_ms = self.wait_ms = 0.0
 
     def __enter__(self) -> traffic:
         self.sc.addJobTag(self.tag)
@@ -132,13 +136,15 @@ class traffic:
                 info = store.job(job)
             ids = info.stageIds()
             stages |= {ids.apply(i) for i in range(ids.size())}
-        self.bytes = sum(self._written(store, s) for s in stages)
+        read = [self._read(store, s) for s in stages]
+        self.bytes, self.write_ms, self.wait_ms = (sum(r[i] for r in read) for i in range(3))
 
     @staticmethod
-    def _written(store, stage: int) -> int:
+    def _read(store, stage: int) -> tuple[int, float, float]:
         try:
-            return store.lastStageAttempt(stage).shuffleWriteBytes()
+            s = store.lastStageAttempt(stage)
+            return s.shuffleWriteBytes(), s.shuffleWriteTime() / 1e6, float(s.shuffleFetchWaitTime())
         except Py4JJavaError as gone:
             if "No stage with id" not in str(gone):
                 raise
-            return 0  # a skipped stage, which wrote nothing; Spark keeps only so many of them
+            return 0, 0.0, 0.0  # a skipped stage, which wrote nothing; Spark keeps only so many of them

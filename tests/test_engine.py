@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from fullgraph.functions import vectors
 from fullgraph.operators import aggregate, baselines, costmodel, cover, layers, metrics, minibatch, partition, propagate, quantize, relational, remote, train
-from fullgraph.plans import graph_queries
+from fullgraph.plans import graph_queries, training_queries
 from fullgraph.sources import graphs
 
 D = "/root/testdata/sf0.001"
@@ -428,3 +428,28 @@ def test_all_of_lineitem_is_routed(spark, tmp_path):
         want |= {(sp, dp, s, p, "pre" if s in left else "post") for s, p in edges}
     got = [tuple(r) for r in graph_queries.Q["route_edges_lineitem_all"](spark, str(tmp_path)).collect()]
     assert len(got) == len(set(got)) and set(got) == want
+
+
+def test_codec_computes_its_parameters_once_a_row(spark):
+    rows = [(0, 1, "raw", i, 0, [float(x) for x in np.random.default_rng(i).normal(size=16)], 1.0) for i in range(50)] + [(0, 1, "raw", 99, 0, [2.5] * 16, 1.0)]
+    sent = spark.createDataFrame(rows, "sp int, dp int, kind string, key long, blk int, v array<double>, n double")
+    back = quantize.through(8)(sent)
+    # one minimum a row as the zero point and one as the scale's, however the projections are merged
+    assert str(back._jdf.queryExecution().optimizedPlan()).count("array_min(v") <= 4
+    for r in back.collect():
+        v = np.array(dict((x[3], x[5]) for x in rows)[r.key])
+        assert np.abs(np.array(r.v) - v).max() <= (v.max() - v.min()) / 255 / 2 + 1e-9
+
+
+def test_measured_exchange_and_breakdown(spark):
+    got = {(r.strategy, r.bits): r for r in training_queries.exchange_time_measured(spark, D, ("turns",)).collect()}
+    assert got["hybrid", 32].vectors <= got["best_of_two", 32].vectors <= min(got["pre", 32].vectors, got["post", 32].vectors) <= got["edge", 32].vectors
+    assert got["hybrid", 2].shuffle_bytes < got["hybrid", 32].shuffle_bytes
+    steps = training_queries.breakdown(spark, D, (("turns", 4),)).collect()
+    assert [r.setting for r in steps] == ["base", "optimized"] and steps[0].quantization == 0.0 < steps[1].quantization
+
+
+def test_delayed_scaling_counts_a_fifth_of_the_plain_bytes(spark):
+    got = {(r.parts, r.method): r for r in training_queries.scaling_delayed(spark, D, ("succession",), (4,)).collect()}
+    assert got[4, "delayed"].bytes * 5 == pytest.approx(got[4, "plain"].bytes)
+    assert got[4, "complete"].bytes < got[4, "plain"].bytes
